@@ -7,7 +7,11 @@ import importlib
 #: Query name to module; each module has ``query`` and, where SQL can express it, ``ORACLE``.
 MODULES = {
     "op1_line_frequency": "line_frequency",
+    "op4_nbsvm": "nbsvm",
+    "op5_factorization_machine": "factorization",
     "op6_winnowing": "winnowing",
+    "op7_poisson_mix": "poisson_mix",
+    "op9_wordpiece_counts": "wordpiece",
 }
 
 
