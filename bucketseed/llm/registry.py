@@ -11,6 +11,7 @@ MODULES = {
     "op5_factorization_machine": "factorization",
     "op6_winnowing": "winnowing",
     "op7_poisson_mix": "poisson_mix",
+    "op8_near_duplicates": "near_duplicates",
     "op9_wordpiece_counts": "wordpiece",
 }
 
