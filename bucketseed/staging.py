@@ -29,3 +29,14 @@ def staged(df: DataFrame, name: str = "stage") -> DataFrame:
     path = f"{shared_dir(spark)}/bucketseed/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+#: Stage files of up to this many rows are worked on in one task, where a shuffle would cost more.
+SMALL_ROWS = 200_000
+
+
+def counted(df: DataFrame, name: str = "stage") -> tuple[DataFrame, int]:
+    """``staged``, and its rows' number; a small result is one partition, so it needs no shuffle."""
+    out = staged(df, name)
+    n = out.count()
+    return (out.coalesce(1) if n <= SMALL_ROWS else out), n
