@@ -7,12 +7,14 @@ import importlib
 #: Query name to module; each module has ``query`` and, where SQL can express it, ``ORACLE``.
 MODULES = {
     "op1_line_frequency": "line_frequency",
+    "op3_context_tree": "context_tree",
     "op4_nbsvm": "nbsvm",
     "op5_factorization_machine": "factorization",
     "op6_winnowing": "winnowing",
     "op7_poisson_mix": "poisson_mix",
     "op8_near_duplicates": "near_duplicates",
     "op9_wordpiece_counts": "wordpiece",
+    "op10_url_templates": "url_templates",
 }
 
 
