@@ -7,6 +7,7 @@ import importlib
 #: Query name to module; each module has ``query`` and, where SQL can express it, ``ORACLE``.
 MODULES = {
     "op1_line_frequency": "line_frequency",
+    "op2_bootstrap_identifiers": "identifiers",
     "op3_context_tree": "context_tree",
     "op4_nbsvm": "nbsvm",
     "op5_factorization_machine": "factorization",
