@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bucketseed.staging import staged
+from bucketseed.staging import counted
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -15,8 +15,9 @@ def components(links: DataFrame) -> DataFrame:
     chains halve; only rows of linked nodes move, and nothing is gathered on the driver.
     """
     arcs = links.select(F.col("a").alias("u"), F.col("b").alias("v"))
-    arcs = staged(arcs.union(arcs.select("v", "u")).filter("u <> v").distinct(), "arcs")
-    labels = staged(arcs.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("least")).select("node", F.least("node", "least").alias("comp")), "labels")
+    arcs, _ = counted(arcs.union(arcs.select("v", "u")).filter("u <> v").distinct(), "arcs")
+    labels = arcs.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("least"))
+    labels, _ = counted(labels.select("node", F.least("node", "least").alias("comp")), "labels")
     while True:
         near = (
             arcs.join(labels.select(F.col("node").alias("v"), "comp"), "v")
@@ -25,7 +26,7 @@ def components(links: DataFrame) -> DataFrame:
         )
         hop = labels.join(near, "node").select("node", F.col("comp").alias("was"), F.least("comp", "near").alias("mid"))
         jump = labels.select(F.col("node").alias("mid"), F.col("comp").alias("far"))
-        after = staged(
+        after, _ = counted(
             hop.join(jump, "mid", "left").select(
                 "node", F.least("mid", F.coalesce("far", "mid")).alias("comp"), "was"
             ),

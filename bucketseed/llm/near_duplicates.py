@@ -6,7 +6,7 @@ all texts share. Equal sets collapse first. Sketches of one text per set go to b
 every bucket proposes a star, from one centre to its members, so candidate pairs are at most as
 many as bucket rows. Candidates are confirmed on full sets. As a member may resemble another
 member but not the centre, buckets that still join different components propose further stars
-around other centres, until two rounds in a row find no link.
+around other centres, until a round finds no link.
 
 Chance of missing a pair: at similarity 0.75 two sets share no band with probability
 (1 - 0.75^5)^51 < 2e-6 (each band alone); of a bucket's members, further rounds try what the first
@@ -24,12 +24,12 @@ from pyspark.sql import functions as F
 
 from bucketseed.llm.components import components
 from bucketseed.llm.hashing import list_array, mix, pieces, shingle_hashes, uniques, word_hashes
-from bucketseed.staging import staged
+from bucketseed.staging import counted, staged
 
 BINS, ROWS = 256, 5
 BANDS = BINS // ROWS
 SHINGLE = 5
-#: Ids of candidate texts are broadcast only up to this many (16 bytes each); joined else.
+#: Tables of ids, pairs and labels are broadcast only up to this many rows (32 bytes at most each).
 BROADCAST_IDS = 500_000
 
 _ORDER = np.argsort(
@@ -122,6 +122,10 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     )
 
 
+def _sized(df: DataFrame, rows: int) -> DataFrame:
+    return F.broadcast(df) if rows <= BROADCAST_IDS else df
+
+
 def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row."""
     rows = staged(sketched(docs, text), "sketches")
@@ -140,45 +144,51 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
         .filter("low < high")
         .select("key", F.col("low").alias("center"))
     )
-    members = staged(banded.join(shared, "key").distinct(), "buckets")
+    members = staged(banded.join(shared, "key"), "buckets")
 
     ids = staged(members.select("doc_id").distinct(), "candidates")
-    few = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-    texts = staged(docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col(text).alias("text")).join(few, "doc_id", "left_semi"), "texts")
-
-    pairs = staged(members.filter("center <> doc_id").select(F.col("center").alias("a"), F.col("doc_id").alias("b")).distinct(), "pairs")
-    links = staged(confirmed(pairs, texts, percent), "links")
-    tried, comps = pairs, components(links)
-    dry, turn = 0, 0
-    while dry < 2:
+    texts = staged(
+        docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col(text).alias("text")).join(
+            _sized(ids, ids.count()), "doc_id", "left_semi"
+        ),
+        "texts",
+    )
+    pairs = members.filter("center <> doc_id").select(F.col("center").alias("a"), F.col("doc_id").alias("b"))
+    tried, n = counted(pairs.distinct(), "pairs")
+    links, _ = counted(confirmed(_sized(tried, n), texts, percent), "links")
+    comps, turn = components(links), 0
+    while True:
         turn += 1
-        placed = members.join(comps, F.col("doc_id") == F.col("node"), "left").select(
+        placed = members.join(
+            _sized(comps, comps.count()), F.col("doc_id") == F.col("node"), "left"
+        ).select(
             "key", "doc_id", F.coalesce("comp", "doc_id").alias("comp"), F.xxhash64("doc_id", F.lit(turn)).alias("h")
         )
-        centers = (
+        centers, n = counted(
             placed.groupBy("key")
             .agg(F.min(F.struct("h", "doc_id", "comp")).alias("c"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
             .filter("lo < hi")
-            .select("key", F.col("c.doc_id").alias("center"), F.col("c.comp").alias("ccomp"))
+            .select("key", F.col("c.doc_id").alias("center"), F.col("c.comp").alias("ccomp")),
+            "centers",
         )
-        fresh = (
-            placed.join(centers, "key")
+        if not n:
+            break
+        fresh, n = counted(
+            placed.join(_sized(centers, n), "key")
             .filter(F.col("comp") != F.col("ccomp"))
             .select(F.least("center", "doc_id").alias("a"), F.greatest("center", "doc_id").alias("b"))
             .distinct()
+            .join(tried, ["a", "b"], "left_anti"),
+            "pairs",
         )
-        fresh = staged(fresh.join(tried, ["a", "b"], "left_anti"), "pairs")
-        if fresh.isEmpty():
-            dry += 1
-            continue
+        if not n:
+            break
         tried = tried.unionByName(fresh)
-        found = staged(confirmed(fresh, texts, percent), "links")
-        if found.isEmpty():
-            dry += 1
-        else:
-            dry = 0
-            links = links.unionByName(found)
-            comps = components(links)
+        found, new = counted(confirmed(_sized(fresh, n), texts, percent), "links")
+        if not new:
+            break
+        links = links.unionByName(found)
+        comps = components(links)
 
     return (
         rows.join(sets, ["set_hash", "n_shingles"], "left")
