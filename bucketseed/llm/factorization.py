@@ -177,6 +177,16 @@ def score(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
     return rows.mapInArrow(scored, f"doc_id {dict(rows.dtypes)['doc_id']}, score double")
 
 
+def without_toxic(docs: DataFrame, model: Model, least: float = 0.5, text: str = "text") -> DataFrame:
+    """The rows of ``docs`` that score below ``least``, with all their columns, in one pass."""
+
+    def kept(batches):
+        for batch, data, offs in pieces(batches, text):
+            yield batch.filter(pa.array(model.score(*term_hashes(data, offs)) < least))
+
+    return docs.mapInArrow(kept, docs.schema)
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     from bucketseed.tables import load
 

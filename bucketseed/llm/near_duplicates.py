@@ -204,6 +204,24 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
     )
 
 
+def one_of_each(docs: DataFrame, text: str = "text", percent: int = 75) -> DataFrame:
+    """The rows of ``docs`` without near duplicates: the smallest id of each group stays.
+
+    Of rows that repeat an id one stays, whichever; rows without an id all stay.
+    """
+    gone = staged(near_duplicates(docs, text, percent).filter("NOT kept").select("doc_id").distinct(), "gone")
+    left = docs.join(_sized(gone, gone.count()), "doc_id", "left_anti").select(docs.columns)
+    again, n = counted(
+        docs.filter("doc_id IS NOT NULL").groupBy("doc_id").count().filter("count > 1").select("doc_id"), "repeated"
+    )
+    if not n:
+        return left
+    single = left.join(_sized(again, n), "doc_id", "left_anti").select(docs.columns)
+    return single.unionByName(
+        left.join(_sized(again, n), "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"])
+    )
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     from bucketseed.tables import load
 

@@ -23,8 +23,14 @@ def _module(name: str):
     return importlib.import_module(f"bucketseed.llm.{MODULES[name]}")
 
 
+def _pipeline(spark, sf_dir: str):
+    from corpus_pipeline import run
+
+    return run(spark, sf_dir)
+
+
 def queries() -> dict:
-    return {name: _module(name).query for name in MODULES}
+    return {name: _module(name).query for name in MODULES} | {"pipeline": _pipeline}
 
 
 def oracle_sql() -> dict[str, str]:

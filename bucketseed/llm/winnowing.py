@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bucketseed.llm.columns import NOT_ALNUM, ascii_lower, gram_hashes, pieces
+from bucketseed.staging import staged
 
 #: A side is broadcast only if its rows were counted and are no more than this (about 80 bytes each).
 BROADCAST_ROWS = 200_000
@@ -179,6 +180,14 @@ def decontaminate(
     )
 
 
+def uncontaminated(docs: DataFrame, items: DataFrame, text: str = "text", window: int = 10, k: int = 5) -> DataFrame:
+    """The rows of ``docs`` in which no window of an item occurs, with all their columns."""
+    ids = staged(
+        find_hits(docs, items, text, window, k).select(F.col("doc_id").alias("_hid")).distinct(), "hits"
+    )
+    return docs.join(_sized(ids, ids.count()), F.col("doc_id").eqNullSafe(F.col("_hid")), "left_anti")
+
+
 def query(spark, sf_dir: str) -> DataFrame:
     from bucketseed.tables import load
 
