@@ -18,17 +18,19 @@ def word_set(text: Column | str) -> Column:
     """Sorted distinct ids of the words of lower-cased text; empty for null."""
     col = F.col(text) if isinstance(text, str) else text
     words = F.filter(F.split(F.lower(F.coalesce(col, F.lit(""))), r"\s+"), lambda w: w != "")
-    return F.sort_array(F.transform(F.array_distinct(words), token_id))
+    return F.sort_array(F.array_distinct(F.transform(words, token_id)))
 
 
 def shingle_set(text: Column | str, k: int = 5) -> Column:
     """Sorted distinct ids of the k-character runs of lower-cased text."""
     col = F.lower(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")))
-    last = F.length(col) - k + 1
+    chars = F.split(col, "")
+    last = F.length(col) - k
     grams = F.when(
-        last >= 1, F.transform(F.sequence(F.lit(1), last), lambda i: F.substring(col, i, F.lit(k)))
+        last >= 0,
+        F.transform(F.sequence(F.lit(0), last), lambda i: F.concat(*[F.get(chars, i + j) for j in range(k)])),
     ).otherwise(F.array(col))
-    return F.sort_array(F.transform(F.array_distinct(grams), token_id))
+    return F.sort_array(F.array_distinct(F.transform(grams, token_id)))
 
 
 def letter_histogram(text: Column | str) -> Column:
