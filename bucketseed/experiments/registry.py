@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-PARTS = ("blocks", "phases", "compared", "surface")
+PARTS = ("blocks", "phases")
 
 
 def _modules():

@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from bucketseed.functions.features import bound
 from bucketseed.functions.permutations import PRIME, affine_perms
 
 
@@ -67,8 +68,11 @@ def doph_column(tokens: Column | str, dims: int, seed: int = 0) -> Column:
     perm, width = affine_perms(1, seed), width_of(dims)
     values = F.transform(tokens, lambda x: perm.of(x, 0))
     ranges = F.array_sort(F.transform(values, lambda v: F.struct(F.floor(v / width).alias("r"), v.alias("v"))))
-    after = lambda j: F.get(F.filter(ranges, lambda s: s["r"] >= j), F.lit(0))["v"]
-    return F.transform(
-        F.sequence(F.lit(0), F.lit(dims - 1)),
-        lambda j: F.coalesce(after(j), F.get(ranges, F.lit(0))["v"], F.lit(-1).cast("bigint")),
+    after = lambda rs, j: F.get(F.filter(rs, lambda s: s["r"] >= j), F.lit(0))["v"]
+    return bound(
+        ranges,
+        lambda rs: F.transform(
+            F.sequence(F.lit(0), F.lit(dims - 1)),
+            lambda j: F.coalesce(after(rs, j), F.get(rs, F.lit(0))["v"], F.lit(-1).cast("bigint")),
+        ),
     )

@@ -14,6 +14,11 @@ def token_id(word: Column) -> Column:
     return F.conv(F.substring(F.md5(word), 1, 7), 16, 10).cast("bigint")
 
 
+def bound(value: Column, body) -> Column:
+    """``body(value)`` with ``value`` computed once: lambdas compute an expression at each use."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def word_set(text: Column | str) -> Column:
     """Sorted distinct ids of the words of lower-cased text; empty for null."""
     col = F.col(text) if isinstance(text, str) else text
@@ -24,12 +29,11 @@ def word_set(text: Column | str) -> Column:
 def shingle_set(text: Column | str, k: int = 5) -> Column:
     """Sorted distinct ids of the k-character runs of lower-cased text."""
     col = F.lower(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")))
-    chars = F.split(col, "")
-    last = F.length(col) - k
-    grams = F.when(
-        last >= 0,
-        F.transform(F.sequence(F.lit(0), last), lambda i: F.concat(*[F.get(chars, i + j) for j in range(k)])),
-    ).otherwise(F.array(col))
+    runs = lambda c: F.when(
+        F.size(c) >= k,
+        F.transform(F.sequence(F.lit(0), F.size(c) - k), lambda i: F.concat(*[F.get(c, i + j) for j in range(k)])),
+    ).otherwise(F.array(F.array_join(c, "")))
+    grams = bound(F.split(col, ""), runs)
     return F.sort_array(F.array_distinct(F.transform(grams, token_id)))
 
 
@@ -41,9 +45,15 @@ def letter_histogram(text: Column | str) -> Column:
 
 def letter_shares(text: Column | str, scale: int = FIXED) -> Column:
     """Letter shares in fixed point; zeros for a text without letters."""
-    counts = letter_histogram(text)
-    total = F.aggregate(counts, F.lit(0).cast("bigint"), lambda s, x: s + x)
-    return F.transform(counts, lambda x: F.when(total > 0, F.floor(x * F.lit(scale) / total)).otherwise(F.lit(0)).cast("bigint"))
+    return bound(
+        letter_histogram(text),
+        lambda counts: bound(
+            F.aggregate(counts, F.lit(0).cast("bigint"), lambda s, x: s + x),
+            lambda n: F.transform(
+                counts, lambda x: F.when(n > 0, F.floor(x * F.lit(float(scale)) / n)).otherwise(F.lit(0)).cast("bigint")
+            ),
+        ),
+    )
 
 
 def fixed_point(vec: Column | str, scale: int = FIXED) -> Column:
