@@ -348,19 +348,26 @@ def context_tree_scores(
                 at = np.minimum(np.searchsorted(own, words), len(own) - 1)
                 count = np.where(own[at] == words, sizes[at], 0)
             texts, where = np.unique(owner, return_inverse=True)
-            out.append(
-                pa.table(
-                    {
-                        "block": pa.array(np.full(len(texts), block)),
-                        "idx": pa.array(texts.astype(np.int32)),
-                        "cold_sum": pa.array(np.bincount(where, np.log10((count + 0.1) / below), len(texts))),
-                        "cold_known": pa.array(np.bincount(where, count > 0, len(texts)).astype(np.int64)),
-                    }
-                )
-            )
-        return pa.concat_tables(out) if out else schema.empty_table()
+            logs = np.bincount(where, np.log10((count + 0.1) / below), len(texts))
+            out.append((block, texts.tobytes(), logs.tobytes(), np.bincount(where, count > 0, len(texts)).astype(np.uint32).tobytes()))
+        return pa.Table.from_pylist([dict(zip(packed.names, row, strict=True)) for row in out], packed)
+
+    packed = pa.schema([("block", pa.int64()), ("ids", pa.binary()), ("sums", pa.binary()), ("hits", pa.binary())])
+
+    def gather(table: pa.Table) -> pa.Table:
+        ids = np.concatenate([np.frombuffer(x, np.uint32) for x in table["ids"].to_pylist()])
+        sums = np.concatenate([np.frombuffer(x, np.float64) for x in table["sums"].to_pylist()])
+        hits = np.concatenate([np.frombuffer(x, np.uint32) for x in table["hits"].to_pylist()])
+        texts, where = np.unique(ids, return_inverse=True)
+        return pa.table(
+            {
+                "block": pa.array(np.full(len(texts), table["block"][0].as_py())),
+                "idx": pa.array(texts.astype(np.int32)),
+                "cold_sum": pa.array(np.bincount(where, sums, len(texts))),
+                "cold_known": pa.array(np.bincount(where, hits, len(texts)).astype(np.int64)),
+            }
+        )
 
-    schema = pa.schema([("block", pa.int64()), ("idx", pa.int32()), ("cold_sum", pa.float64()), ("cold_known", pa.int64())])
     cold_counts = counts.filter((F.col("kind") == 1) & (F.col("n") <= least)).select(
         F.pmod("key", F.lit(parts)).cast("int").alias("part"), "key", "n"
     )
@@ -369,9 +376,9 @@ def context_tree_scores(
         .select("part", "block", "ids", "keys")
         .groupBy("part")
         .cogroup(cold_counts.groupBy("part"))
-        .applyInArrow(resolve, "block bigint, idx int, cold_sum double, cold_known bigint")
-        .groupBy("block", "idx")
-        .agg(F.sum("cold_sum").alias("cold_sum"), F.sum("cold_known").alias("cold_known"))
+        .applyInArrow(resolve, "block bigint, ids binary, sums binary, hits binary")
+        .groupBy("block")
+        .applyInArrow(gather, "block bigint, idx int, cold_sum double, cold_known bigint")
     )
     return (
         passed.filter("part IS NULL")
