@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-PARTS = ("blocks", "phases")
+PARTS = ("blocks", "phases", "compared")
 
 
 def _modules():

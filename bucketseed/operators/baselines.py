@@ -32,9 +32,10 @@ def uniform(seed: int, *cols: Column) -> Column:
     return ((F.shiftrightunsigned(F.xxhash64(F.lit(seed), *cols), 11) + F.lit(0.5)) / F.lit(float(1 << 53))).cast("double")
 
 
-def random_seeds(df: DataFrame, k: int, seed: int = 0, vec: str = "vec") -> DataFrame:
-    """(seed_id, vec): the k rows of least hash, by a top-k and no full sort."""
-    top = df.select("id", vec).orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(k)
+def random_seeds(df: DataFrame, k: int, seed: int = 0, vec: str = "vec", perms=None) -> DataFrame:
+    """(seed_id, vec): the k rows first in a random order, by a top-k and no full sort."""
+    order = perms.of(F.col("id"), 0) if perms else F.xxhash64(F.lit(seed), F.col("id"))
+    top = df.select("id", vec).orderBy(order, "id").limit(k)
     return top.select(F.col("id").alias("seed_id"), F.col(vec).alias("vec"))
 
 
@@ -56,9 +57,8 @@ def kmeanspp_seeds(df: DataFrame, k: int, seed: int = 0, vec: str = "vec") -> Da
     for turn in range(1, k):
         newest = F.array(*[F.lit(float(x)) for x in chosen[-1][1]])
         d2 = F.aggregate(F.zip_with("vec", newest, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
-        state = state.withColumn("d2", F.least("d2", d2))
-        if turn % 8 == 0:
-            state = staged(state, "kmeanspp")
+        # staged each time: an expression that grows with the turn would be computed many times over
+        state = staged(state.withColumn("d2", F.least("d2", d2)), "kmeanspp")
         race = F.struct((-F.log(uniform(seed + turn, F.col("id"))) / F.col("d2")).alias("w"), "id", "vec")
         best = state.filter("d2 > 0").agg(F.min(race).alias("b")).first()["b"]
         if best is None:
