@@ -23,12 +23,16 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-def staged(df: DataFrame, name: str = "stage") -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/bucketseed/{name}-{uuid.uuid4().hex}"
+def stage_folder(df: DataFrame, name: str = "stage") -> str:
+    """Write ``df`` as Parquet in the shared folder; returns the path."""
+    path = f"{shared_dir(df.sparkSession)}/bucketseed/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return path
+
+
+def staged(df: DataFrame, name: str = "stage") -> DataFrame:
+    """``stage_folder``, read back."""
+    return df.sparkSession.read.schema(df.schema).parquet(stage_folder(df, name))
 
 
 #: Stage files of up to this many rows are worked on in one task, where a shuffle would cost more.
