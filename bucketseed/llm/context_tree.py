@@ -92,7 +92,7 @@ def byte_logs(one: np.ndarray) -> np.ndarray:
     for level in range(8):
         nodes = slice((1 << level) - 1, (1 << (level + 1)) - 1)
         both = np.stack([total + low[..., nodes], total + high[..., nodes]], -1)
-        total = both.reshape(*both.shape[:-2], -1)
+        total = both.reshape(*both.shape[:-2], 2 * both.shape[-2])
     return total
 
 
