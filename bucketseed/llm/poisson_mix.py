@@ -49,7 +49,7 @@ def invert_poisson(u: Column, mean: Column) -> Column:
 def mixing_rates(
     docs: DataFrame, weights: dict[str, float], others: float = 1.0, total: float | None = None
 ) -> DataFrame:
-    """(_source, rate): target share times ``total`` (default: all rows) over the source's rows."""
+    """(_source, _rate): target share times ``total`` (default: all rows) over the source's rows."""
     named = F.create_map(*[F.lit(x) for k, v in weights.items() for x in (k, float(v))]) if weights else None
     weight = F.coalesce(named[F.col("_source")], F.lit(others)) if weights else F.lit(others)
     counts = (
@@ -60,7 +60,7 @@ def mixing_rates(
     sums = counts.agg(F.sum("_w").alias("_sw"), F.sum("_n").alias("_sn"))
     goal = F.col("_sn").cast("double") if total is None else F.lit(float(total))
     return counts.crossJoin(F.broadcast(sums)).select(  # one row
-        "_source", (F.col("_w") / F.col("_sw") * goal / F.col("_n")).alias("rate")
+        "_source", (F.col("_w") / F.col("_sw") * goal / F.col("_n")).alias("_rate")
     )
 
 
@@ -76,8 +76,7 @@ def replicate(
     """All columns of ``docs`` plus copy (from 0), rate and shuffle_key; rows in global hash order."""
     rates = mixing_rates(docs, weights, others, total)
     names = [c for c in docs.columns if c not in ("copy", "rate", "shuffle_key")]
-    mean = F.col("rate") - F.floor(F.col("rate") / PART) * PART
-    whole = F.floor(F.col("rate") / PART).cast("int")
+    whole = F.floor(F.col("_rate") / PART).cast("int")
     parts = F.when(
         whole >= 1,
         F.aggregate(
@@ -89,14 +88,15 @@ def replicate(
             lambda a, x: a + x,
         ),
     ).otherwise(F.lit(0).cast("bigint"))
+    slim = docs.select(*names)
     counted = (
-        docs.join(rates, docs["source"].cast("string").eqNullSafe(F.col("_source")))
-        .withColumn("_count", invert_poisson(uniform(seed, F.col(id_col)), mean) + parts)
+        slim.join(rates, slim["source"].cast("string").eqNullSafe(F.col("_source")))
+        .withColumn("_count", invert_poisson(uniform(seed, F.col(id_col)), F.col("_rate") - whole * PART) + parts)
         .filter("_count > 0")
     )
     copies = counted.select(
-        *[docs[c] for c in names],
-        "rate",
+        *names,
+        F.col("_rate").alias("rate"),
         F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("_count") - 1)).alias("copy"),
     ).withColumn("shuffle_key", uniform(seed + 1, F.col(id_col), F.col("copy")))
     return copies.orderBy("shuffle_key", id_col, "copy") if shuffled else copies
