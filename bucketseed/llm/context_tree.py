@@ -295,7 +295,7 @@ def context_tree_scores(
                     batch.column("held_out"),
                     pa.array(per + 1),
                     pa.array(np.bincount(text_of[warm], minlength=texts)),
-                    pa.array(np.bincount(text_of[warm], logs, texts)),
+                    pa.array(np.bincount(text_of[warm], logs, texts).astype(float)),
                     pa.array(score),
                     pa.array(np.diff(offs)),
                     pa.nulls(texts, pa.int32()),
@@ -363,7 +363,7 @@ def context_tree_scores(
             {
                 "block": pa.array(np.full(len(texts), table["block"][0].as_py())),
                 "idx": pa.array(texts.astype(np.int32)),
-                "cold_sum": pa.array(np.bincount(where, sums, len(texts))),
+                "cold_sum": pa.array(np.bincount(where, sums, len(texts)).astype(float)),
                 "cold_known": pa.array(np.bincount(where, hits, len(texts)).astype(np.int64)),
             }
         )
