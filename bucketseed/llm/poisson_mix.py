@@ -17,7 +17,6 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 PART = 16.0
-STEPS = 80
 
 
 def uniform(seed: int, *cols: Column) -> Column:
@@ -27,29 +26,33 @@ def uniform(seed: int, *cols: Column) -> Column:
     return (bits.cast("double") + 0.5) / F.lit(float(1 << 52))
 
 
-def invert_poisson(u: Column, mean: Column) -> Column:
-    """The least k whose cumulative probability reaches ``u`` (means up to PART)."""
-    start = F.struct(
-        F.exp(-mean).alias("p"), F.exp(-mean).alias("c"), F.lit(0).cast("bigint").alias("k")
-    )
+def poisson_cdf(mean: Column) -> Column:
+    """Cumulative probabilities of 0, 1, ... until less than 2^-53 is left (means up to PART)."""
+    steps = F.ceil(mean + 9 * F.sqrt(mean) + 14).cast("int")
+    start = F.struct(F.exp(-mean).alias("p"), F.exp(-mean).alias("c"), F.array(F.exp(-mean)).alias("all"))
     return F.aggregate(
-        F.sequence(F.lit(1), F.lit(STEPS)),
+        F.sequence(F.lit(1), steps),
         start,
-        lambda a, i: F.when(a["c"] >= u, a).otherwise(
-            F.struct(
-                (a["p"] * mean / i).alias("p"),
-                (a["c"] + a["p"] * mean / i).alias("c"),
-                (a["k"] + 1).alias("k"),
-            )
+        lambda a, i: F.struct(
+            (a["p"] * mean / i).alias("p"),
+            (a["c"] + a["p"] * mean / i).alias("c"),
+            F.concat(a["all"], F.array(a["c"] + a["p"] * mean / i)).alias("all"),
         ),
-        lambda a: a["k"],
+        lambda a: a["all"],
     )
 
 
+def invert_poisson(u: Column, cdf: Column) -> Column:
+    """The least k whose cumulative probability reaches ``u``."""
+    return F.size(F.filter(cdf, lambda c: c < u)).cast("bigint")
+
+
 def mixing_rates(
     docs: DataFrame, weights: dict[str, float], others: float = 1.0, total: float | None = None
 ) -> DataFrame:
-    """(_source, _rate): target share times ``total`` (default: all rows) over the source's rows."""
+    """(_source, _rate, _whole, _cdf, _part_cdf): target share times ``total`` (default: all rows)
+    over the source's rows; its whole PARTs, and the tables that invert the rest and one PART.
+    """
     named = F.create_map(*[F.lit(x) for k, v in weights.items() for x in (k, float(v))]) if weights else None
     weight = F.coalesce(named[F.col("_source")], F.lit(others)) if weights else F.lit(others)
     counts = (
@@ -59,8 +62,12 @@ def mixing_rates(
     )
     sums = counts.agg(F.sum("_w").alias("_sw"), F.sum("_n").alias("_sn"))
     goal = F.col("_sn").cast("double") if total is None else F.lit(float(total))
-    return counts.crossJoin(F.broadcast(sums)).select(  # one row
-        "_source", (F.col("_w") / F.col("_sw") * goal / F.col("_n")).alias("_rate")
+    return (
+        counts.crossJoin(F.broadcast(sums))  # one row
+        .select("_source", (F.col("_w") / F.col("_sw") * goal / F.col("_n")).alias("_rate"))
+        .withColumn("_whole", F.floor(F.col("_rate") / PART).cast("int"))
+        .withColumn("_rest", F.col("_rate") - F.col("_whole") * PART)
+        .withColumns({"_cdf": poisson_cdf(F.col("_rest")), "_part_cdf": poisson_cdf(F.lit(PART))})
     )
 
 
@@ -76,13 +83,18 @@ def replicate(
     """All columns of ``docs`` plus copy (from 0), rate and shuffle_key; rows in global hash order."""
     rates = mixing_rates(docs, weights, others, total)
     names = [c for c in docs.columns if c not in ("copy", "rate", "shuffle_key")]
-    whole = F.floor(F.col("_rate") / PART).cast("int")
     parts = F.when(
-        whole >= 1,
+        F.col("_whole") >= 1,
         F.aggregate(
             F.transform(
-                F.sequence(F.lit(1), whole),
-                lambda i: invert_poisson(uniform(seed, F.col(id_col), i), F.lit(PART)),
+                F.sequence(F.lit(1), F.col("_whole")),
+                # the array binds the number, which a lambda would compute anew at each step
+                lambda i: F.get(
+                    F.transform(
+                        F.array(uniform(seed, F.col(id_col), i)), lambda u: invert_poisson(u, F.col("_part_cdf"))
+                    ),
+                    F.lit(0),
+                ),
             ),
             F.lit(0).cast("bigint"),
             lambda a, x: a + x,
@@ -91,7 +103,8 @@ def replicate(
     slim = docs.select(*names)
     counted = (
         slim.join(rates, slim["source"].cast("string").eqNullSafe(F.col("_source")))
-        .withColumn("_count", invert_poisson(uniform(seed, F.col(id_col)), F.col("_rate") - whole * PART) + parts)
+        .withColumn("_u", uniform(seed, F.col(id_col)))
+        .withColumn("_count", invert_poisson(F.col("_u"), F.col("_cdf")) + parts)
         .filter("_count > 0")
     )
     copies = counted.select(
