@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 #: Fixed: separators of plain words, and of alphanumeric words (after A-Z were lower-cased).
 SPACE = r"[\x20\x09-\x0D]+"
 NOT_ALNUM = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: The same words in a text whose A-Z are still there: for counting alone.
+NOT_ALNUM_CASED = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 

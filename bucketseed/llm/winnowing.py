@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from bucketseed.llm.columns import NOT_ALNUM, ascii_lower, gram_hashes, pieces
+from bucketseed.llm.columns import NOT_ALNUM, NOT_ALNUM_CASED, ascii_lower, gram_hashes, pieces
 from bucketseed.staging import staged
 
 #: A side is broadcast only if its rows were counted and are no more than this (about 80 bytes each).
@@ -86,16 +86,20 @@ def find_hits(
     )
 
     words = docs.select("doc_id", _word_hashes(text).alias("_w"))
-    grams = words.withColumn("_k", gram_hashes(F.col("_w"), k))
-    candidates = (
-        grams.select("doc_id", F.explode(_minima(F.col("_k"), run)).alias("_fp"))
+    candidates = staged(
+        words.withColumn("_k", gram_hashes(F.col("_w"), k)).select("doc_id", F.explode(_minima(F.col("_k"), run)).alias("_fp"))
         .join(_sized(prints, sizes["b"]), "_fp", "left_semi")
         .select(F.col("doc_id").alias("_cand"))
-        .distinct()
+        .distinct(),
+        "candidates",
+    )
+    # Texts move, if anything does, and not their several times larger hashes.
+    chosen = docs.select("doc_id", F.col(text).alias("_text")).join(
+        _sized(candidates, candidates.count()), F.col("doc_id").eqNullSafe(F.col("_cand")), "left_semi"
     )
     extended = (
-        grams.join(candidates, F.col("doc_id").eqNullSafe(F.col("_cand")), "left_semi")
-        .withColumn("_win", gram_hashes(F.col("_w"), window))
+        chosen.select("doc_id", _word_hashes("_text").alias("_w"))
+        .withColumns({"_k": gram_hashes(F.col("_w"), k), "_win": gram_hashes(F.col("_w"), window)})
         .select(
             "doc_id",
             F.explode(
@@ -167,7 +171,7 @@ def decontaminate(
     )
     names = [c for c in docs.columns if c not in ("n_words", "n_hit", "n_items", "item_ids", "contaminated")]
     return (
-        docs.select(*names, F.size(_word_hashes(text)).cast("bigint").alias("n_words"))
+        docs.select(*names, F.size(pieces(F.col(text), NOT_ALNUM_CASED)).cast("bigint").alias("n_words"))
         .join(spans, F.col("doc_id").eqNullSafe(F.col("_hid")), "left")
         .select(
             *names,
