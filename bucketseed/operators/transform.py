@@ -143,7 +143,16 @@ def kl_buckets(df: DataFrame, tokens: str, K: int, L: int, seed: int = 0, mode:
 
 
 def discretise(df: DataFrame, numeric: list[str], bins: int, tie: str = "split", mode: str = "window") -> DataFrame:
-    """Each numeric column as its rank part, 0 to bins - 1; ``tie='together'`` keeps equal values in one."""
+    """Each numeric column as its rank part, 0 to bins - 1; ``tie='together'`` keeps equal values in one.
+
+    ``window`` sorts a column in one task; ``ranked`` gives the same parts without that, all columns
+    in one range-partitioned sort; ``quantile`` cuts at sketched quantiles.
+    """
+    if mode == "ranked" and tie == "split":
+        cells = F.posexplode(F.array(*[F.col(c).cast("double") for c in numeric]))
+        parts = _ranked(df.select("id", cells.alias("table_id", "h")), bins)
+        wide = parts.groupBy("id").agg(*[F.max(F.when(F.col("table_id") == i, F.col("part"))).alias(f"_{c}") for i, c in enumerate(numeric)])
+        return df.join(wide, "id").select(*[F.col(f"_{c}").alias(c) if c in numeric else F.col(c) for c in df.columns])
     if mode == "quantile":
         cuts = df.agg(
             *[F.percentile_approx(c, F.array(*[F.lit(i / bins) for i in range(1, bins)]), 10_000).alias(c) for c in numeric]

@@ -28,6 +28,12 @@ def test_rank_cuts_agree_and_are_even(spark, gauss):
     assert {r["count"] for r in sizes} <= {85, 86}
 
 
+def test_discretising_modes_agree(spark):
+    rows = spark.range(500).select("id", (F.col("id") * 37 % 101).cast("double").alias("x"), (F.col("id") * 11 % 7).cast("double").alias("y"))
+    a, b = (sorted(map(tuple, tf.discretise(rows, ["x", "y"], 6, mode=m).collect())) for m in ("window", "ranked"))
+    assert a == b
+
+
 def test_rank_cut_of_six_on_a_line(spark):
     rows = spark.createDataFrame([(0, i, i * 10) for i in range(6)], "table_id int, id bigint, h bigint")
     for mode in ("window", "ranked"):
