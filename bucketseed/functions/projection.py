@@ -21,8 +21,16 @@ def integer_directions(count: int, dims: int, seed: int, scale: int = 1000) -> l
     return np.rint(gaussian(count, dims, seed) * scale).astype(int).tolist()
 
 
+#: Dot products of up to this many terms are written out, so that they compile; longer ones loop.
+UNROLLED = 16
+
+
 def dot(vec: Column | str, direction: list) -> Column:
     kind = "bigint" if isinstance(direction[0], int) else "double"
+    if len(direction) <= UNROLLED:
+        col = F.col(vec) if isinstance(vec, str) else vec
+        terms = [(F.get(col, F.lit(i)) * F.lit(x)).cast(kind) for i, x in enumerate(direction)]
+        return sum(terms[1:], terms[0])
     return F.aggregate(
         F.zip_with(vec, F.array(*[F.lit(x) for x in direction]), lambda x, y: (x * y).cast(kind)),
         F.lit(0).cast(kind),
