@@ -6,11 +6,12 @@ all texts share. Equal sets collapse first. Sketches of one text per set go to b
 every bucket proposes a star, from one centre to its members, so candidate pairs are at most as
 many as bucket rows. Candidates are confirmed on full sets. As a member may resemble another
 member but not the centre, buckets that still join different components propose further stars
-around other centres, until a round finds no link.
+around other centres, until a round finds no link. What the stars left is then settled exactly:
+small buckets try all their pairs of different components, and the members of large ones meet in a
+join over prefixes of their full sets, which passes over no pair at the threshold.
 
 Chance of missing a pair: at similarity 0.75 two sets share no band with probability
-(1 - 0.75^5)^51 < 2e-6 (each band alone); of a bucket's members, further rounds try what the first
-star left. Defined results: null or empty text and null ids have no links and stand alone; fewer
+(1 - 0.75^5)^51 < 2e-6 (each band alone); pairs that share one are all decided. Defined results: null or empty text and null ids have no links and stand alone; fewer
 than five words are one shingle; repeated rows give a row each, and rows of one id are one node;
 a tie for the representative goes to the smallest id; other columns are ignored.
 """
@@ -19,7 +20,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from bucketseed.llm.components import components
@@ -31,6 +32,8 @@ BANDS = BINS // ROWS
 SHINGLE = 5
 #: Tables of ids, pairs and labels are broadcast only up to this many rows (32 bytes at most each).
 BROADCAST_IDS = 500_000
+#: Buckets of up to this many members try all pairs that the stars left; larger ones join by prefix.
+SMALL_BUCKET = 32
 
 _ORDER = np.argsort(
     np.random.default_rng(20).permuted(np.tile(np.arange(BINS), (BINS, 1)), axis=1), axis=1
@@ -126,6 +129,61 @@ def _sized(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_IDS else df
 
 
+def shingles(texts: DataFrame) -> DataFrame:
+    """(doc_id, shingles) of every row: its set as an array of hashes."""
+
+    def run(batches):
+        for batch, data, offs in pieces(batches):
+            sets, first = shingle_sets(data, offs)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("doc_id"), list_array(sets, first)], ["doc_id", "shingles"]
+            )
+
+    return texts.select("doc_id", "text").mapInArrow(run, "doc_id bigint, shingles array<bigint>")
+
+
+def prefix_pairs(open_ids: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of ``open_ids`` (doc_id, comp, n) from different components that may be similar.
+
+    Shingles of one component only come first in an order that all sets share, then rare ones. Two
+    sets of n shingles or more that overlap by ``percent`` share one of the first
+    n - ceil(n percent / 100) + 1 of each.
+    """
+    held, _ = counted(
+        shingles(texts).join(open_ids, "doc_id").select("doc_id", "comp", "n", F.explode("shingles").alias("s")),
+        "shingles",
+    )
+    wide = (
+        held.groupBy("s")
+        .agg(F.count("*").alias("df"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+        .filter("lo < hi")
+        .select("s", "df")
+    )
+    common, _ = counted(held.join(wide, "s"), "common")
+    # of the prefix, shingles of one component take their part first
+    room = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1 - (F.col("n") - F.count("*").over(Window.partitionBy("doc_id")))
+    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy("df", "s"))
+    prefix, _ = counted(
+        common.select("*", room.alias("room"))
+        .filter("room > 0")
+        .select("*", rank.alias("rank"))
+        .filter("rank <= room")
+        .select("s", "doc_id", "comp", "n"),
+        "prefixes",
+    )
+    return prefix.join(_other(prefix), "s").filter(_apart(percent)).select(F.col("doc_id").alias("a"), "b").distinct()
+
+
+def _other(rows: DataFrame) -> DataFrame:
+    return rows.select(rows.columns[0], F.col("doc_id").alias("b"), F.col("comp").alias("bcomp"), F.col("n").alias("bn"))
+
+
+def _apart(percent: int) -> Column:
+    """Pairs in order, of different components, whose sizes allow the similarity."""
+    sizes = 100 * F.least("n", "bn") >= percent * F.greatest("n", "bn")
+    return (F.col("doc_id") < F.col("b")) & (F.col("comp") != F.col("bcomp")) & sizes
+
+
 def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row."""
     rows = staged(sketched(docs, text), "sketches")
@@ -157,15 +215,17 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
     tried, n = counted(pairs.distinct(), "pairs")
     links, _ = counted(confirmed(_sized(tried, n), texts, percent), "links")
     comps, turn = components(links), 0
+
+    def placed() -> DataFrame:
+        return members.join(
+            _sized(comps, comps.count()), F.col("doc_id") == F.col("node"), "left"
+        ).select("key", "doc_id", F.coalesce("comp", "doc_id").alias("comp"))
+
     while True:
         turn += 1
-        placed = members.join(
-            _sized(comps, comps.count()), F.col("doc_id") == F.col("node"), "left"
-        ).select(
-            "key", "doc_id", F.coalesce("comp", "doc_id").alias("comp"), F.xxhash64("doc_id", F.lit(turn)).alias("h")
-        )
+        now = placed().withColumn("h", F.xxhash64("doc_id", F.lit(turn)))
         centers, n = counted(
-            placed.groupBy("key")
+            now.groupBy("key")
             .agg(F.min(F.struct("h", "doc_id", "comp")).alias("c"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
             .filter("lo < hi")
             .select("key", F.col("c.doc_id").alias("center"), F.col("c.comp").alias("ccomp")),
@@ -174,7 +234,7 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
         if not n:
             break
         fresh, n = counted(
-            placed.join(_sized(centers, n), "key")
+            now.join(_sized(centers, n), "key")
             .filter(F.col("comp") != F.col("ccomp"))
             .select(F.least("center", "doc_id").alias("a"), F.greatest("center", "doc_id").alias("b"))
             .distinct()
@@ -190,6 +250,38 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
         links = links.unionByName(found)
         comps = components(links)
 
+    # a dry round of stars proves nothing for the other members: their pairs are tried exactly
+    sizes = sets.select(F.col("rep").alias("doc_id"), F.col("n_shingles").alias("n"))
+    for large in (False, True):
+        now = placed()
+        unsettled, n = counted(
+            now.groupBy("key")
+            .agg(F.count("*").alias("size"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+            # the stars tried all pairs of buckets of two
+            .filter(F.col("lo") < F.col("hi"))
+            .filter(F.col("size") > SMALL_BUCKET if large else F.col("size").between(3, SMALL_BUCKET))
+            .select("key"),
+            "unsettled",
+        )
+        if not n:
+            continue
+        left = now.join(_sized(unsettled, n), "key", "left_semi")
+        if large:
+            open_ids, n = counted(left.select("doc_id", "comp").distinct().join(sizes, "doc_id"), "unsettled")
+            texts_left = texts.join(_sized(open_ids, n), "doc_id", "left_semi")
+            pairs = prefix_pairs(_sized(open_ids, n), texts_left, percent)
+        else:
+            left = staged(left.join(sizes, "doc_id").select("key", "doc_id", "comp", "n"), "unsettled")
+            pairs = left.join(_other(left), "key").filter(_apart(percent)).select(F.col("doc_id").alias("a"), "b").distinct()
+        fresh, n = counted(pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
+        if not n:
+            continue
+        tried = tried.unionByName(fresh)
+        found, new = counted(confirmed(_sized(fresh, n), texts, percent), "links")
+        if new:
+            links = links.unionByName(found)
+            comps = components(links)
+
     return (
         rows.join(sets, ["set_hash", "n_shingles"], "left")
         .join(comps, F.col("rep") == F.col("node"), "left")
