@@ -16,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from bucketseed.staging import staged
+
 PART = 16.0
 
 
@@ -122,8 +124,9 @@ WEIGHTS = {"src0": 0.5, "src1": 2.0}
 def query(spark, sf_dir: str) -> DataFrame:
     from bucketseed.tables import load
 
-    docs = load(spark, sf_dir, "documents").select("doc_id", "source")
-    return replicate(docs, WEIGHTS)
+    # whole documents are repeated and moved; the columns that SQL knows are read from the result
+    mixed = staged(replicate(load(spark, sf_dir, "documents"), WEIGHTS), "mixed")
+    return mixed.select("doc_id", "source", "rate", "copy", "shuffle_key").orderBy("shuffle_key", "doc_id", "copy")
 
 
 _U = "((('0x' || substr(md5({key}), 1, 13))::BIGINT)::DOUBLE + 0.5) / 4503599627370496.0"

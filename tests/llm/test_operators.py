@@ -267,6 +267,16 @@ def test_poisson_counts(spark, odd, empty):
     assert key == sorted(key)
 
 
+def test_mix_moves_whole_documents(spark, texts, monkeypatch):
+    kept = []
+    monkeypatch.setattr(poisson_mix, "staged", lambda df, name: kept.append(df.cache()) or kept[0], raising=False)
+    out = poisson_mix.query(spark, SF).select("doc_id", "copy", "shuffle_key").collect()
+    assert [r["shuffle_key"] for r in out] == sorted(r["shuffle_key"] for r in out)
+    moved = kept[0].select("doc_id", "copy", "text", "lang", "n_chars").collect()
+    assert sorted((r["doc_id"], r["copy"]) for r in moved) == sorted((r["doc_id"], r["copy"]) for r in out)
+    assert all(r["text"] == texts[r["doc_id"]] for r in moved)
+
+
 def test_near_duplicates_on_edges(spark, odd, empty):
     got = near_duplicates.near_duplicates(odd).collect()
     assert len(got) == len(ODD)
