@@ -6,14 +6,15 @@ all texts share. Equal sets collapse first. Sketches of one text per set go to b
 every bucket proposes a star, from one centre to its members, so candidate pairs are at most as
 many as bucket rows. Candidates are confirmed on full sets. As a member may resemble another
 member but not the centre, buckets that still join different components propose further stars
-around other centres, until a round finds no link. What the stars left is then settled exactly:
-small buckets try all their pairs of different components, and the members of large ones meet in a
-join over prefixes of their full sets, which passes over no pair at the threshold.
+around other centres, while many of the pairs are links. What the stars left is then settled exactly:
+members of buckets that still join different components meet in a join over prefixes of their full
+sets, which passes over no pair at the threshold.
 
 Chance of missing a pair: at similarity 0.75 two sets share no band with probability
 (1 - 0.75^5)^51 < 2e-6 (each band alone); pairs that share one are all decided. Defined results: null or empty text and null ids have no links and stand alone; fewer
 than five words are one shingle; repeated rows give a row each, and rows of one id are one node;
-a tie for the representative goes to the smallest id; other columns are ignored.
+a tie for the representative goes to the smallest id; ids may be of any orderable type; very long
+texts are read whole, one at a time; other columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -32,8 +33,8 @@ BANDS = BINS // ROWS
 SHINGLE = 5
 #: Tables of ids, pairs and labels are broadcast only up to this many rows (32 bytes at most each).
 BROADCAST_IDS = 500_000
-#: Buckets of up to this many members try all pairs that the stars left; larger ones join by prefix.
-SMALL_BUCKET = 32
+#: Rounds of stars go on while this share of their pairs are links; an exact join decides the rest.
+FRUITFUL = 0.1
 
 _ORDER = np.argsort(
     np.random.default_rng(20).permuted(np.tile(np.arange(BINS), (BINS, 1)), axis=1), axis=1
@@ -146,8 +147,8 @@ def prefix_pairs(open_ids: DataFrame, texts: DataFrame, percent: int) -> DataFra
     """Pairs (a, b) of ``open_ids`` (doc_id, comp, n) from different components that may be similar.
 
     Shingles of one component only come first in an order that all sets share, then rare ones. Two
-    sets of n shingles or more that overlap by ``percent`` share one of the first
-    n - ceil(n percent / 100) + 1 of each.
+    sets that overlap by ``percent`` share one of the first n - ceil(n percent / 100) + 1 of each,
+    and at the first one they share, what follows in either set leaves room for the overlap.
     """
     held, _ = counted(
         shingles(texts).join(open_ids, "doc_id").select("doc_id", "comp", "n", F.explode("shingles").alias("s")),
@@ -160,32 +161,26 @@ def prefix_pairs(open_ids: DataFrame, texts: DataFrame, percent: int) -> DataFra
         .select("s", "df")
     )
     common, _ = counted(held.join(wide, "s"), "common")
-    # of the prefix, shingles of one component take their part first
-    room = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1 - (F.col("n") - F.count("*").over(Window.partitionBy("doc_id")))
-    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy("df", "s"))
+    own = F.col("n") - F.count("*").over(Window.partitionBy("doc_id"))
+    place = F.row_number().over(Window.partitionBy("doc_id").orderBy("df", "s"))
     prefix, _ = counted(
-        common.select("*", room.alias("room"))
-        .filter("room > 0")
-        .select("*", rank.alias("rank"))
-        .filter("rank <= room")
-        .select("s", "doc_id", "comp", "n"),
+        common.select("*", (own + place).alias("at"))
+        .filter(F.col("at") <= F.col("n") - F.ceil(F.col("n") * percent / 100) + 1)
+        .select("s", "doc_id", "comp", "n", (F.col("n") - F.col("at") + 1).alias("room")),
         "prefixes",
     )
-    return prefix.join(_other(prefix), "s").filter(_apart(percent)).select(F.col("doc_id").alias("a"), "b").distinct()
-
-
-def _other(rows: DataFrame) -> DataFrame:
-    return rows.select(rows.columns[0], F.col("doc_id").alias("b"), F.col("comp").alias("bcomp"), F.col("n").alias("bn"))
-
-
-def _apart(percent: int) -> Column:
-    """Pairs in order, of different components, whose sizes allow the similarity."""
-    sizes = 100 * F.least("n", "bn") >= percent * F.greatest("n", "bn")
-    return (F.col("doc_id") < F.col("b")) & (F.col("comp") != F.col("bcomp")) & sizes
+    other = prefix.select(
+        "s", F.col("doc_id").alias("b"), F.col("comp").alias("bcomp"), F.col("n").alias("bn"), F.col("room").alias("broom")
+    )
+    overlap = (100 + percent) * F.least("room", "broom") >= percent * (F.col("n") + F.col("bn"))
+    apart = (F.col("doc_id") < F.col("b")) & (F.col("comp") != F.col("bcomp"))
+    return prefix.join(other, (prefix["s"] == other["s"]) & apart & overlap).select(F.col("doc_id").alias("a"), "b").distinct()
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row."""
+    if dict(docs.dtypes)["doc_id"] not in ("tinyint", "smallint", "int", "bigint"):
+        return near_duplicates_any_id(docs, text, percent)
     rows = staged(sketched(docs, text), "sketches")
     real = rows.filter("n_shingles > 0 AND doc_id IS NOT NULL")
     sets = staged(
@@ -245,42 +240,30 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
             break
         tried = tried.unionByName(fresh)
         found, new = counted(confirmed(_sized(fresh, n), texts, percent), "links")
-        if not new:
+        if new:
+            links = links.unionByName(found)
+            comps = components(links)
+        if new < FRUITFUL * n:
             break
-        links = links.unionByName(found)
-        comps = components(links)
-
-    # a dry round of stars proves nothing for the other members: their pairs are tried exactly
-    sizes = sets.select(F.col("rep").alias("doc_id"), F.col("n_shingles").alias("n"))
-    for large in (False, True):
-        now = placed()
-        unsettled, n = counted(
-            now.groupBy("key")
-            .agg(F.count("*").alias("size"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
-            # the stars tried all pairs of buckets of two
-            .filter(F.col("lo") < F.col("hi"))
-            .filter(F.col("size") > SMALL_BUCKET if large else F.col("size").between(3, SMALL_BUCKET))
-            .select("key"),
-            "unsettled",
-        )
-        if not n:
-            continue
-        left = now.join(_sized(unsettled, n), "key", "left_semi")
-        if large:
-            open_ids, n = counted(left.select("doc_id", "comp").distinct().join(sizes, "doc_id"), "unsettled")
-            texts_left = texts.join(_sized(open_ids, n), "doc_id", "left_semi")
-            pairs = prefix_pairs(_sized(open_ids, n), texts_left, percent)
-        else:
-            left = staged(left.join(sizes, "doc_id").select("key", "doc_id", "comp", "n"), "unsettled")
-            pairs = left.join(_other(left), "key").filter(_apart(percent)).select(F.col("doc_id").alias("a"), "b").distinct()
+
+    # Stars that find little prove nothing for the other members: those are settled exactly.
+    now = placed()
+    unsettled, n = counted(
+        now.groupBy("key").agg(F.count("*").alias("size"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+        # the stars tried the pair of a bucket of two
+        .filter("lo < hi AND size > 2")
+        .select("key"),
+        "unsettled",
+    )
+    if n:
+        sizes = sets.select(F.col("rep").alias("doc_id"), F.col("n_shingles").alias("n"))
+        left = now.join(_sized(unsettled, n), "key", "left_semi").select("doc_id", "comp").distinct()
+        open_ids, n = counted(left.join(sizes, "doc_id"), "unsettled")
+        pairs = prefix_pairs(_sized(open_ids, n), texts.join(_sized(open_ids, n), "doc_id", "left_semi"), percent)
         fresh, n = counted(pairs.join(tried, ["a", "b"], "left_anti"), "pairs")
-        if not n:
-            continue
-        tried = tried.unionByName(fresh)
         found, new = counted(confirmed(_sized(fresh, n), texts, percent), "links")
         if new:
-            links = links.unionByName(found)
-            comps = components(links)
+            comps = components(links.unionByName(found))
 
     return (
         rows.join(sets, ["set_hash", "n_shingles"], "left")
@@ -296,22 +279,52 @@ def near_duplicates(docs: DataFrame, text: str = "text", percent: int = 75) -> D
     )
 
 
+def _by_row(rows: DataFrame, percent: int) -> DataFrame:
+    """(_row, n_shingles, _comp): components of rows (_row, text) as nodes, whatever their ids."""
+    found = near_duplicates(rows.select(F.col("_row").alias("doc_id"), "text"), "text", percent)
+    return found.select(F.col("doc_id").alias("_row"), "n_shingles", F.col("component_id").alias("_comp"))
+
+
+def near_duplicates_any_id(docs: DataFrame, text: str = "text", percent: int = 75) -> DataFrame:
+    """``near_duplicates`` for ids of any orderable type, such as strings; rows are the nodes.
+
+    Null ids stand alone. The component is named by its smallest id.
+    """
+    rows = staged(
+        docs.select(
+            F.monotonically_increasing_id().alias("_row"),
+            "doc_id",
+            F.when(F.col("doc_id").isNotNull(), F.col(text)).alias("text"),
+        ),
+        "rows",
+    )
+    placed = staged(rows.select("_row", "doc_id").join(_by_row(rows, percent), "_row"), "placed")
+    least = placed.groupBy("_comp").agg(F.min("doc_id").alias("component_id"))
+    return placed.join(least, "_comp").select(
+        "doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept")
+    )
+
+
 def one_of_each(docs: DataFrame, text: str = "text", percent: int = 75) -> DataFrame:
-    """The rows of ``docs`` without near duplicates: the smallest id of each group stays.
+    """The rows of ``docs`` without near duplicates: of each group the row of the smallest id stays.
 
-    Of rows that repeat an id one stays, whichever; rows without an id all stay.
+    Rows are judged, not ids: rows that share an id or have none go only if their text resembles
+    another row's. A row without an id stands behind all others, then the earlier row stays.
     """
-    gone = staged(near_duplicates(docs, text, percent).filter("NOT kept").select("doc_id").distinct(), "gone")
-    left = docs.join(_sized(gone, gone.count()), "doc_id", "left_anti").select(docs.columns)
-    again, n = counted(
-        docs.filter("doc_id IS NOT NULL").groupBy("doc_id").count().filter("count > 1").select("doc_id"), "repeated"
+    rows = staged(docs.select("*", F.monotonically_increasing_id().alias("_row")), "rows")
+    placed = staged(
+        rows.select("_row", F.col("doc_id").alias("_id")).join(
+            _by_row(rows.select("_row", F.col(text).alias("text")), percent), "_row"
+        ),
+        "placed",
+    )
+    shared = placed.groupBy("_comp").agg(
+        F.count("*").alias("_n"), F.min(F.struct(F.col("_id").isNull().alias("none"), "_id", "_row")).alias("_first")
     )
-    if not n:
-        return left
-    single = left.join(_sized(again, n), "doc_id", "left_anti").select(docs.columns)
-    return single.unionByName(
-        left.join(_sized(again, n), "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"])
+    gone, n = counted(
+        placed.join(shared.filter("_n > 1"), "_comp").filter("_row <> _first._row").select("_row"), "gone"
     )
+    return rows.join(_sized(gone, n), "_row", "left_anti").select(docs.columns)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

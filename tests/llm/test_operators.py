@@ -302,6 +302,30 @@ def test_near_duplicates_after_a_dry_round(spark):
     assert all(i == c for i, c in out.items())
 
 
+@pytest.mark.parametrize("others, families", [(150, 1), (300, 1), (150, 4)])
+def test_crowded_buckets_lose_no_link(spark, others, families):
+    rows = []
+    for f in range(families):
+        core = [f"f{f}c{i}" for i in range(1000)]
+        rows += [(f * 10_000 + i, " ".join(core + [f"f{f}o{i}x{j}" for j in range(350)])) for i in range(others)]
+        rows += [(f * 10_000 + 5000 + k, " ".join(core + [f"f{f}v{k}x{j}" for j in range(120)])) for k in range(2)]
+    out = {r["doc_id"]: r["component_id"] for r in near_duplicates.near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    for f in range(families):
+        assert out.pop(f * 10_000 + 5001) == out.pop(f * 10_000 + 5000) == f * 10_000 + 5000
+    assert all(i == c for i, c in out.items())
+
+
+def test_near_duplicates_by_row_and_with_other_ids(spark):
+    base = " ".join(f"w{i}" for i in range(50))
+    rows = [(1, base), (1, "another text of its own kind here"), (None, base + " end"), (0, base), (None, "alone and without any id at all"), (None, None), (None, None)]
+    table = spark.createDataFrame(rows, "doc_id bigint, text string")
+    left = [(r["doc_id"], r["text"]) for r in near_duplicates.one_of_each(table).collect()]
+    assert sorted(left, key=str) == sorted([(0, base), rows[1], rows[4], rows[5], rows[6]], key=str)
+    named = spark.createDataFrame([("b", base), ("a", base + " x"), ("c", "nothing in common with these two"), (None, base)], "doc_id string, text string")
+    got = {r["doc_id"]: (r["component_id"], r["kept"]) for r in near_duplicates.near_duplicates(named).collect()}
+    assert got == {"b": ("a", False), "a": ("a", True), "c": ("c", True), None: (None, True)}
+
+
 def test_components(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 102), (102, 101), (7, 7)], "a bigint, b bigint")
     got = {r["node"]: r["comp"] for r in components(links).collect()}
