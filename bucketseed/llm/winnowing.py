@@ -8,9 +8,9 @@ fewer words than a window are looked up by grams of their own length, as no samp
 them. Column expressions only; nothing is emitted per pair of documents.
 
 Defined results: null or empty text has no words and no hit; an item without words never occurs;
-repeated ``item_id`` rows count once; repeated rows of documents give a row each and rows with one
-``doc_id`` share their findings; a null ``doc_id`` is an id like any other; extra columns are
-ignored.
+repeated ``item_id`` rows count once; every row of documents is judged by its own text, whatever its
+``doc_id`` (repeated, null, of any type); texts are read whole, however long; extra columns are
+carried; an empty table gives no rows, and without items nothing is hit.
 """
 
 from __future__ import annotations
@@ -51,10 +51,20 @@ def _around(windows: Column, i: Column, reach: int) -> Column:
     return F.array(*[F.when(i >= s, F.get(windows, i - s)) for s in range(reach)])
 
 
+def _placed_grams(words: Column, length: int) -> Column:
+    return F.transform(
+        gram_hashes(words, length),
+        lambda g, i: F.struct(F.lit(length).alias("length"), i.alias("start"), g.alias("_g")),
+    )
+
+
 def find_hits(
-    docs: DataFrame, items: DataFrame, text: str = "text", window: int = 10, k: int = 5
+    docs: DataFrame, items: DataFrame, text: str = "text", window: int = 10, k: int = 5, key: str = "doc_id"
 ) -> DataFrame:
-    """Distinct (doc_id, start, length, item_id): where windows of items occur, in words."""
+    """Distinct (``key``, start, length, item_id): where windows of items occur, in words.
+
+    Rows that share a value of ``key`` share their findings; ``_keyed`` gives rows a key of their own.
+    """
     run = window - k + 1
     item_words = (
         items.select("item_id", _word_hashes(text).alias("_w"))
@@ -81,27 +91,23 @@ def find_hits(
     )
     prints = item_grams.select("_fp").distinct()
     sizes = item_grams.agg(F.count("*").alias("a"), F.count_distinct("_fp").alias("b")).first()
-    shorts = sorted(
-        r["_n"] for r in item_words.filter(F.col("_n") < window).select("_n").distinct().collect()
-    )
-
-    words = docs.select("doc_id", _word_hashes(text).alias("_w"))
+    words = docs.select(key, _word_hashes(text).alias("_w"))
     candidates = staged(
-        words.withColumn("_k", gram_hashes(F.col("_w"), k)).select("doc_id", F.explode(_minima(F.col("_k"), run)).alias("_fp"))
+        words.withColumn("_k", gram_hashes(F.col("_w"), k)).select(key, F.explode(_minima(F.col("_k"), run)).alias("_fp"))
         .join(_sized(prints, sizes["b"]), "_fp", "left_semi")
-        .select(F.col("doc_id").alias("_cand"))
+        .select(F.col(key).alias("_cand"))
         .distinct(),
         "candidates",
     )
     # Texts move, if anything does, and not their several times larger hashes.
-    chosen = docs.select("doc_id", F.col(text).alias("_text")).join(
-        _sized(candidates, candidates.count()), F.col("doc_id").eqNullSafe(F.col("_cand")), "left_semi"
+    chosen = docs.select(key, F.col(text).alias("_text")).join(
+        _sized(candidates, candidates.count()), F.col(key).eqNullSafe(F.col("_cand")), "left_semi"
     )
     extended = (
-        chosen.select("doc_id", _word_hashes("_text").alias("_w"))
+        chosen.select(key, _word_hashes("_text").alias("_w"))
         .withColumns({"_k": gram_hashes(F.col("_w"), k), "_win": gram_hashes(F.col("_w"), window)})
         .select(
-            "doc_id",
+            key,
             F.explode(
                 F.transform(
                     "_k",
@@ -111,10 +117,10 @@ def find_hits(
                 )
             ).alias("_e"),
         )
-        .select("doc_id", F.col("_e.k").alias("_fp"), F.col("_e.i").alias("_at"), "_e.win")
+        .select(key, F.col("_e.k").alias("_fp"), F.col("_e.i").alias("_at"), "_e.win")
         .join(_sized(item_grams, sizes["a"]), "_fp")
         .select(
-            "doc_id",
+            key,
             "item_id",
             F.explode(
                 F.filter(
@@ -126,19 +132,34 @@ def find_hits(
                 )
             ).alias("start"),
         )
-        .select("doc_id", "start", F.lit(window).alias("length"), "item_id")
+        .select(key, "start", F.lit(window).alias("length"), "item_id")
     )
-    found = extended
-    for length in shorts:
-        own = item_words.filter(F.col("_n") == length).select(
-            "item_id", F.explode(gram_hashes(F.col("_w"), length)).alias("_g")
-        )
-        found = found.unionByName(
-            words.select("doc_id", F.posexplode(gram_hashes(F.col("_w"), length)).alias("start", "_g"))
-            .join(own, "_g")
-            .select("doc_id", "start", F.lit(length).alias("length"), "item_id")
-        )
-    return found.distinct()
+    shorts = sorted(
+        r["_n"] for r in item_words.filter(F.col("_n") < window).select("_n").distinct().collect()  # below window
+    )
+    if not shorts:
+        return extended.distinct()
+    own = staged(
+        item_words.filter(F.col("_n") < window).select(
+            "item_id",
+            F.col("_n").alias("length"),
+            F.coalesce(*[F.when(F.col("_n") == n, F.get(gram_hashes(F.col("_w"), n), F.lit(0))) for n in shorts]).alias("_g"),
+        ),
+        "short-items",
+    )
+    grams = F.flatten(F.array(*[_placed_grams(F.col("_w"), n) for n in shorts]))
+    whole = (
+        words.select(key, F.explode(grams).alias("_e"))
+        .select(key, "_e.length", "_e.start", "_e._g")
+        .join(_sized(own, own.count()), ["length", "_g"])
+        .select(key, "start", "length", "item_id")
+    )
+    return extended.unionByName(whole).distinct()
+
+
+def _keyed(docs: DataFrame) -> DataFrame:
+    """``docs`` in a stage file, with a number of its own for each row."""
+    return staged(docs.select("*", F.monotonically_increasing_id().alias("_row")), "rows")
 
 
 def decontaminate(
@@ -148,9 +169,10 @@ def decontaminate(
 
     A word inside any occurrence of an item's window is hit; it counts once.
     """
-    hits = find_hits(docs, items, text, window, k)
+    rows = _keyed(docs)
     spans = (
-        hits.groupBy(F.col("doc_id").alias("_hid"))
+        find_hits(rows, items, text, window, k, "_row")
+        .groupBy(F.col("_row").alias("_hid"))
         .agg(
             F.collect_set(F.struct("start", "length")).alias("_spans"),
             F.sort_array(F.collect_set(F.col("item_id").cast("string"))).alias("item_ids"),
@@ -171,8 +193,8 @@ def decontaminate(
     )
     names = [c for c in docs.columns if c not in ("n_words", "n_hit", "n_items", "item_ids", "contaminated")]
     return (
-        docs.select(*names, F.size(pieces(F.col(text), NOT_ALNUM_CASED)).cast("bigint").alias("n_words"))
-        .join(spans, F.col("doc_id").eqNullSafe(F.col("_hid")), "left")
+        rows.select("_row", *names, F.size(pieces(F.col(text), NOT_ALNUM_CASED)).cast("bigint").alias("n_words"))
+        .join(spans, F.col("_row") == F.col("_hid"), "left")
         .select(
             *names,
             "n_words",
@@ -186,10 +208,9 @@ def decontaminate(
 
 def uncontaminated(docs: DataFrame, items: DataFrame, text: str = "text", window: int = 10, k: int = 5) -> DataFrame:
     """The rows of ``docs`` in which no window of an item occurs, with all their columns."""
-    ids = staged(
-        find_hits(docs, items, text, window, k).select(F.col("doc_id").alias("_hid")).distinct(), "hits"
-    )
-    return docs.join(_sized(ids, ids.count()), F.col("doc_id").eqNullSafe(F.col("_hid")), "left_anti")
+    rows = _keyed(docs)
+    hit = staged(find_hits(rows, items, text, window, k, "_row").select("_row").distinct(), "hits")
+    return rows.join(_sized(hit, hit.count()), "_row", "left_anti").select(docs.columns)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -245,7 +245,11 @@ def test_winnowing_on_edges(spark, odd, empty):
     table = spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("n_hit", F.lit("clash"))
     out = {(r["doc_id"], r["n_words"]): (r["n_hit"], r["item_ids"]) for r in winnowing.decontaminate(table, items).collect()}
     assert out[(1, 13)] == (10, ["1"]) and out[(2, 10)] == (0, []) and out[(3, 3)] == (2, ["2"])
-    assert out[(4, 0)] == out[(4, 2)] == (2, ["2"])
+    assert out[(4, 0)] == (0, []) and out[(4, 2)] == (2, ["2"])
+    same = spark.createDataFrame([(1, span + " other"), (1, "one two"), (1, None)], "doc_id bigint, text string")
+    assert sorted(r["n_hit"] for r in winnowing.decontaminate(same, items).collect()) == [0, 0, 10]
+    nameless = spark.createDataFrame([(None, span), (None, "one two"), (None, "three")], "doc_id string, text string")
+    assert sorted(r["text"] for r in winnowing.uncontaminated(nameless, items).collect()) == ["one two", "three"]
     assert winnowing.decontaminate(odd, items).filter("contaminated").count() == 1
     assert winnowing.decontaminate(odd, items.filter("item_id = 99")).filter("contaminated").count() == 0
     assert winnowing.decontaminate(empty, items).count() == 0
