@@ -3,12 +3,16 @@
 Terms are lower-cased alphanumeric words and their beginnings of 4 to 8 bytes, as 64-bit hashes, so
 that inflected forms share a term. From a bounded sample of labelled texts (``most``), of near copies
 one each, Spark counts each term's texts by class and chooses the terms that go with a class beyond
-chance (at most ``terms``); a second-order factorization machine over their indicators is fitted by
-Adam on the logistic loss, so pairs of terms count beyond the sum of their weights. Every text is
-scored whole.
+chance (at most ``terms``). Terms that say nothing alone are let in by pair: over the ``pair_terms``
+most frequent terms of the sample, the classes of the texts that hold both terms are held against
+what the two give by themselves. A second-order factorization machine over the indicators is fitted
+by Adam on the logistic loss, so pairs of terms count beyond the sum of their weights. Every text
+is scored whole.
 
 Defined results: null and empty texts score the model's bias; without labels of both classes every
-score is the smoothed share of label 1; repeated rows give a row each; other columns are ignored.
+score is the smoothed share of label 1; ids may be of any type; repeated rows give a row each; a
+score of exactly one half predicts 1; very long texts are read whole, one at a time; other columns
+are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -25,6 +29,8 @@ from bucketseed.llm.labelled import crc_fold, labelled_sample
 from bucketseed.staging import staged
 
 BEGINNINGS = (4, 5, 6, 7, 8)
+#: A pair of terms is judged if so many texts of the sample hold both.
+PAIR_TEXTS = 12
 
 
 def term_hashes(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -61,17 +67,21 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(raw, -40, 40)))
 
 
-def choose_terms(features: DataFrame, most: int, least_z: float, least_texts: int) -> DataFrame:
-    """(t) the terms whose texts' classes differ from chance by the largest standard scores."""
-    total = features.agg(F.count("*").alias("n"), F.sum("y").alias("pos")).first()
-    n, pos = float(total["n"]), float(total["pos"] or 0)
-    a, texts = F.col("a"), F.col("texts")
-    spread = texts * (pos / n) * (1 - pos / n) * (n - texts) / max(n - 1, 1)
+def term_counts(features: DataFrame) -> DataFrame:
+    """(t, a, texts): each term's texts, and those of class 1."""
     return (
         features.select("y", F.explode("terms").alias("t"))
         .groupBy("t")
         .agg(F.sum("y").alias("a"), F.count("*").alias("texts"))
-        .filter((texts >= least_texts) & (texts < n))
+    )
+
+
+def choose_terms(counts: DataFrame, n: int, pos: int, most: int, least_z: float, least_texts: int) -> DataFrame:
+    """(t) the terms whose texts' classes differ from chance by the largest standard scores."""
+    a, texts = F.col("a"), F.col("texts")
+    spread = texts * (pos / n) * (1 - pos / n) * (n - texts) / max(n - 1, 1)
+    return (
+        counts.filter((texts >= least_texts) & (texts < n))
         .withColumn("z", F.abs(a - texts * (pos / n)) / F.sqrt(spread))
         .filter(F.col("z") >= least_z)
         .orderBy(F.desc("z"), "t")
@@ -80,6 +90,29 @@ def choose_terms(features: DataFrame, most: int, least_z: float, least_texts: in
     )
 
 
+def paired(x: np.ndarray, y: np.ndarray, least_z: float, most: int) -> np.ndarray:
+    """Columns of the 0/1 matrix ``x`` that go with a class only together with another column.
+
+    A pair's texts of class 1 are held against the sum of what either column adds to the base rate.
+    The columns of the ``most`` strongest pairs beyond ``least_z`` come back.
+    """
+    n, hit = len(y), (y > 0).astype(np.float32)
+    both, both_hit = x.T @ x, x.T @ (x * hit[:, None])
+    base = float(hit.mean())
+    alone = np.diag(both_hit) / np.maximum(np.diag(both), 1)
+    floor = 1 / (n + 2)
+    expected = np.clip(alone[:, None] + alone[None, :] - base, floor, 1 - floor)
+    # a rate known from few texts is no firm expectation: the spread has at least the base rate's
+    spread = both * np.maximum(expected * (1 - expected), base * (1 - base))
+    z = np.abs(both_hit - both * expected) / np.sqrt(np.maximum(spread, 1e-9))
+    z[both < PAIR_TEXTS] = 0
+    # columns that (nearly) always come together are one term to the classes
+    z[both > 0.9 * np.minimum.outer(np.diag(both), np.diag(both))] = 0
+    first, second = np.nonzero(np.triu(z >= least_z, 1))
+    best = np.argsort(-z[first, second], kind="stable")[:most]
+    return np.unique(np.concatenate([first[best], second[best]]))
+
+
 def descend(x: np.ndarray, y: np.ndarray, rank: int, epochs: int, decay: float) -> tuple:
     """Adam on the mean logistic loss over all rows; x holds 0/1 indicators."""
     rng = np.random.default_rng(11)
@@ -117,6 +150,9 @@ def fit(
     rank: int = 4,
     epochs: int = 300,
     decay: float = 1e-4,
+    pair_terms: int = 2048,
+    pairs: int = 128,
+    pair_z: float = 8.0,
 ) -> Model:
     def features(batches):
         for batch, data, offs in pieces(batches):
@@ -124,16 +160,16 @@ def fit(
             shingles, at = shingle_hashes(*word_hashes(data, offs))
             sketch = [int(shingles[a:b].min() >> np.uint64(1)) if b > a else -1 for a, b in zip(at[:-1], at[1:], strict=True)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").cast(pa.int64()), batch.column("y"), pa.array(sketch, pa.int64()), list_array(found, first)],
-                ["doc_id", "y", "sketch", "terms"],
+                [batch.column("h"), batch.column("y"), pa.array(sketch, pa.int64()), list_array(found, first)],
+                ["h", "y", "sketch", "terms"],
             )
 
     sample = staged(
         labelled_sample(docs, labels, label, train, most)
-        .mapInArrow(features, "doc_id bigint, y int, sketch bigint, terms array<bigint>")
+        .mapInArrow(features, "h bigint, y int, sketch bigint, terms array<bigint>")
         .groupBy("sketch", "y")
-        .agg(F.min_by("terms", "doc_id").alias("terms"), F.min("doc_id").alias("doc_id"))
-        .select("doc_id", "y", "terms"),
+        .agg(F.min(F.struct("h", "terms")).alias("f"))
+        .select("f.h", "y", "f.terms"),
         "terms",
     )
     count = {r["y"]: r["count"] for r in sample.groupBy("y").count().collect()}
@@ -141,8 +177,17 @@ def fit(
     empty = Model(np.zeros(0, np.uint64), np.zeros(0), np.zeros((0, rank)), float(np.log(prior / (1 - prior))))
     if len(count) < 2:
         return empty
-    chosen = choose_terms(sample, terms, least_z, least_texts).toArrow()["t"].to_numpy()
-    chosen = np.sort(chosen.astype(np.int64).view(np.uint64))
+    n, pos = sum(count.values()), count.get(1, 0)
+    counts = staged(term_counts(sample).filter(F.col("texts") >= least_texts), "term-counts")
+    single = choose_terms(counts, n, pos, terms, least_z, least_texts).toArrow()["t"].to_numpy()
+    frequent = (
+        counts.filter((F.col("texts") >= PAIR_TEXTS) & (F.col("texts") < n))
+        .orderBy(F.desc("texts"), "t")
+        .limit(pair_terms)
+        .toArrow()["t"]
+        .to_numpy()
+    )
+    chosen = np.unique(np.concatenate([single, frequent]).astype(np.int64).view(np.uint64))
     if not len(chosen):
         return empty
 
@@ -151,14 +196,21 @@ def fit(
             cells = batch.column("terms").to_pylist()
             at = [np.flatnonzero(np.isin(chosen, np.array(c, np.int64).view(np.uint64))).tolist() for c in cells]
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), batch.column("y"), pa.array(at, pa.list_(pa.int64()))], ["doc_id", "y", "x"]
+                [batch.column("h"), batch.column("y"), pa.array(at, pa.list_(pa.int64()))], ["h", "y", "x"]
             )
 
-    table = sample.mapInArrow(marked, "doc_id bigint, y int, x array<bigint>").toArrow().sort_by("doc_id")
+    # at most ``most`` rows of at most ``terms`` + ``pair_terms`` cells
+    table = sample.mapInArrow(marked, "h bigint, y int, x array<bigint>").toArrow().sort_by("h")
     y = np.where(table["y"].to_numpy() == 1, 1.0, -1.0)
     x = np.zeros((len(y), len(chosen)), np.float32)
     for i, at in enumerate(table["x"].to_pylist()):
         x[i, at] = 1
+    alone = np.isin(chosen, single.astype(np.int64).view(np.uint64))
+    often = np.flatnonzero(np.isin(chosen, frequent.astype(np.int64).view(np.uint64)))
+    alone[often[paired(x[:, often], y, pair_z, pairs)]] = True
+    chosen, x = chosen[alone], x[:, alone]
+    if not len(chosen):
+        return empty
     bias, w, v = descend(x, y, rank, epochs, decay)
     return Model(chosen, w, v, float(bias[0]))
 

@@ -14,7 +14,7 @@ def crc_fold(doc_id: str, folds: int) -> Column:
 def labelled_sample(
     docs: DataFrame, labels: DataFrame, label: str, train: Column, most: int, text: str = "text"
 ) -> DataFrame:
-    """(doc_id, text, y) of at most ``most`` labelled ids: those with the least hash of the id.
+    """(doc_id, text, y, h) of at most ``most`` labelled ids: those with the least hash h of the id.
 
     ``train`` says over ``doc_id`` which ids may be learnt from. Ids labelled both ways, labels
     that are null or neither 0 nor 1, and null ids teach nothing. Only the ids are gathered
@@ -30,8 +30,8 @@ def labelled_sample(
         .select("doc_id", "y", F.xxhash64("doc_id").alias("_h"))
         .orderBy("_h", "doc_id")
         .limit(most)
-        .select(F.col("doc_id").alias("_id"), "y")
+        .select(F.col("doc_id").alias("_id"), "y", F.col("_h").alias("h"))
     )
     return docs.select("doc_id", F.col(text).alias("text")).join(
         F.broadcast(chosen), F.col("doc_id") == F.col("_id")
-    ).select("doc_id", "text", "y")
+    ).select("doc_id", "text", "y", "h")

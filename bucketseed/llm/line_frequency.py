@@ -1,13 +1,14 @@
 """Quality rules: lines that many documents of one host share are removed; what is left decides.
 
 A line is normalised (lower case, digits and white space as one blank) and hashed. Its frequency
-in a host is the number of different texts of that host that hold it, so exact copies count once.
-Lines above the host's limit are removed, and a document that keeps too few of its words is
-rejected as depleted. Column expressions only.
+in a host is the number of documents of that host that hold it; with ``copies="once"`` documents
+with the same text count as one. Lines above the host's limit are removed, and a document that
+keeps too few of its words is rejected as depleted. Column expressions only.
 
 Defined results: null text is an empty text and fails the base rules; a null host is a host of its
-own; repeated rows give one result row each; an empty table gives no rows; extra columns are
-ignored unless carried.
+own; every row is a document, also one that repeats another; a line that repeats within a document
+counts once; a line exactly at the limit stays; texts are read whole, however long; an empty table
+gives no rows; extra columns are ignored unless carried.
 """
 
 from __future__ import annotations
@@ -87,10 +88,11 @@ def line_frequency(
     min_left: float = 0.3,
     min_words: int = 10,
     cleaned: bool = False,
+    copies: str = "each",
 ) -> DataFrame:
     """One row per input row: ``carry``, the document rules, words_left, kept.
 
-    A line goes when more than ``max(min_docs, max_share * texts of the host)`` texts of its host
+    A line goes when more than ``max(min_docs, max_share * documents of the host)`` documents of its host
     hold it. A document stays if it passes the document rules and keeps at least ``min_words``
     words and the share ``min_left`` of its words. ``cleaned=True`` adds ``cleaned_text``, the
     text without the lines that went.
@@ -114,21 +116,19 @@ def line_frequency(
             F.monotonically_increasing_id().alias("_row"),
             *carry,
             "_host",
-            F.xxhash64("_text").alias("_copy"),
+            *([F.xxhash64("_text").alias("_copy")] if copies == "once" else []),
             *"n_words word_chars n_symbols n_dup_lines n_repeat_words base_failed".split(),
             lines.alias("_lines"),
         ),
         "lines",
     )
-    hosts = (
-        rows.select("_host", "_copy").distinct().groupBy("_host").agg(F.count("*").alias("_texts"))
-    )
-    spread = rows.select("_row", "_host", "_copy", F.explode("_lines").alias("_line")).select(
-        "_row", "_host", "_copy", F.col("_line.h").alias("_h"), F.col("_line.n").alias("_n")
+    counted = rows.dropDuplicates(["_host", "_copy"]) if copies == "once" else rows
+    hosts = counted.groupBy("_host").agg(F.count("*").alias("_texts"))
+    spread = rows.select("_row", "_host", F.explode("_lines").alias("_line")).select(
+        "_row", "_host", F.col("_line.h").alias("_h"), F.col("_line.n").alias("_n")
     )
     common = (
-        spread.select("_host", "_copy", "_h")
-        .distinct()
+        counted.select("_host", F.explode(F.array_distinct(F.transform("_lines", lambda x: x["h"]))).alias("_h"))
         .groupBy("_host", "_h")
         .agg(F.count("*").alias("_df"))
         .filter(F.col("_df") > min_docs)
@@ -203,11 +203,11 @@ WITH d AS (
   SELECT r, source, t, len(regexp_extract_all(x, '{_W}')) AS n,
          trim(lower(regexp_replace(x, '[\x20\x09-\x0D0-9]+', ' ', 'g')), ' ') AS k
   FROM (SELECT r, source, t, unnest(ls) AS x FROM w)
-), hosts AS (SELECT source, count(DISTINCT t) AS texts FROM d GROUP BY source),
+), hosts AS (SELECT source, count(*) AS texts FROM d GROUP BY source),
 common AS (
   SELECT l.source, l.k FROM ln l JOIN hosts h USING (source)
   GROUP BY l.source, l.k, h.texts
-  HAVING count(DISTINCT l.t) > 10 AND count(DISTINCT l.t) > 0.005 * h.texts
+  HAVING count(DISTINCT l.r) > 10 AND count(DISTINCT l.r) > 0.005 * h.texts
 ), gone AS (SELECT r, sum(n) AS n FROM ln JOIN common USING (source, k) GROUP BY r),
 m AS (
   SELECT w.doc_id, len(ws) AS n_words,

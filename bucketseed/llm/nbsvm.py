@@ -6,8 +6,10 @@ model is fitted by dual coordinate descent. A sigmoid fitted on a fifth of the s
 doesn't see turns margins into scores. Only the fit uses a bounded sample (``most``); every text
 is scored whole, row by row, with no shuffle.
 
-Defined results: null, empty and very long texts get a score; without labels of both classes the
-score is the smoothed share of label 1; repeated rows give a row each; other columns are ignored.
+Defined results: null, empty and very long texts get a score, the last read whole; without labels
+of both classes the score is the smoothed share of label 1; ids may be of any type; repeated rows
+give a row each; a score of exactly one half predicts 1; other columns are ignored; an empty table
+gives no rows.
 """
 
 from __future__ import annotations
@@ -111,19 +113,19 @@ def fit(
         for batch, data, offs in pieces(batches):
             found = [x.astype(np.int32).tobytes() for x in indicators(data, offs)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id").cast(pa.int64()), batch.column("y"), pa.array(found, pa.binary())],
-                ["doc_id", "y", "x"],
+                [batch.column("h"), batch.column("y"), pa.array(found, pa.binary())],
+                ["h", "y", "x"],
             )
 
     table = (
         labelled_sample(docs, labels, label, train, most)
-        .mapInArrow(features, "doc_id bigint, y int, x binary")
+        .mapInArrow(features, "h bigint, y int, x binary")
         .toArrow()
     )
-    ids = table["doc_id"].to_numpy()
-    order = np.lexsort((ids, mix(ids.astype(np.uint64))))
-    y = np.where(table["y"].to_numpy() == 1, 1.0, -1.0)[order]
     cells = table["x"].to_pylist()
+    hashes = table["h"].to_numpy()
+    order = sorted(range(len(cells)), key=lambda i: (hashes[i], cells[i]))
+    y = np.where(table["y"].to_numpy() == 1, 1.0, -1.0)[order]
     rows = [np.frombuffer(cells[i], np.int32) for i in order]
     size = 1 << BITS
     if not len(y) or y.min() == y.max():

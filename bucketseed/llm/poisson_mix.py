@@ -8,7 +8,10 @@ only; counts per source are the one aggregate.
 
 Defined results: a null source is a source of its own; sources without a target keep the weight 1
 if ``others`` is 1 (0 drops them, as asked by name only); repeated rows draw the same count each;
-a null id hashes as the empty text; an empty table gives no rows; all columns are carried.
+a null id hashes as the empty text; an empty table gives no rows; all columns are carried, and those
+named copy, rate or shuffle_key are replaced; a source of weight 0 goes, and if all weigh 0 nothing
+is left; a negative weight is an error; equal shuffle keys are ordered by id, then copy; texts are
+moved whole, however long.
 """
 
 from __future__ import annotations
@@ -55,6 +58,8 @@ def mixing_rates(
     """(_source, _rate, _whole, _cdf, _part_cdf): target share times ``total`` (default: all rows)
     over the source's rows; its whole PARTs, and the tables that invert the rest and one PART.
     """
+    if others < 0 or any(float(w) < 0 for w in weights.values()):
+        raise ValueError("weights must not be negative")
     named = F.create_map(*[F.lit(x) for k, v in weights.items() for x in (k, float(v))]) if weights else None
     weight = F.coalesce(named[F.col("_source")], F.lit(others)) if weights else F.lit(others)
     counts = (
@@ -66,6 +71,7 @@ def mixing_rates(
     goal = F.col("_sn").cast("double") if total is None else F.lit(float(total))
     return (
         counts.crossJoin(F.broadcast(sums))  # one row
+        .filter("_w > 0")
         .select("_source", (F.col("_w") / F.col("_sw") * goal / F.col("_n")).alias("_rate"))
         .withColumn("_whole", F.floor(F.col("_rate") / PART).cast("int"))
         .withColumn("_rest", F.col("_rate") - F.col("_whole") * PART)

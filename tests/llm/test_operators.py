@@ -91,6 +91,9 @@ def test_lines(spark, odd, empty):
     table = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
     out = {r["doc_id"]: r for r in line_frequency.line_frequency(table, cleaned=True, min_left=0.5).collect()}
     assert out[3]["kept"] and "boiler" not in out[3]["cleaned_text"]
+    copied = spark.createDataFrame([(i, "one line that is in every copy\n" + "word " * 30, "h") for i in range(30)], "doc_id bigint, text string, source string")
+    assert line_frequency.line_frequency(copied).agg(F.sum("words_left")).first()[0] == 0
+    assert line_frequency.line_frequency(copied, copies="once").filter("words_left = n_words").count() == 30
     assert not out[99]["kept"] and out[99]["words_left"] == 4
 
 
@@ -229,6 +232,41 @@ def test_classifiers(spark, odd, empty, module, label):
     assert module.score(empty, model).count() == 0
 
 
+def test_dual_descent_is_the_optimum():
+    rng = np.random.default_rng(3)
+    x = rng.integers(0, 2, (40, 12))
+    y = np.where(x[:, 0] + x[:, 1] + rng.random(40) > 1.4, 1.0, -1.0)
+    scale = rng.normal(0, 1, 12)
+    rows = [np.flatnonzero(r) for r in x]
+    w = nbsvm.dual_descent(rows, y, scale, 1.0, 400)
+    dense = x * scale
+    dense = dense / np.maximum(np.sqrt((dense**2).sum(1, keepdims=True)), 1e-12)
+    share = (y > 0).mean()
+    cost = np.where(y > 0, 0.5 / share, 0.5 / (1 - share))
+    # brute force: projected gradient on the dual of the hinge loss with squared norm
+    kernel, alpha = (dense @ dense.T) * np.outer(y, y), np.zeros(40)
+    for _ in range(100_000):
+        alpha = np.clip(alpha + 0.02 * (1 - kernel @ alpha), 0, cost)
+    assert np.allclose(w, (alpha * y) @ dense, atol=1e-3)
+
+
+def test_quality_scores_are_the_definition(spark, docs, texts):
+    labels = load(spark, SF, "labels")
+    model = nbsvm.fit(docs, labels, F.lit(True))
+    got = {r["doc_id"]: r["score"] for r in nbsvm.score(docs, model).collect()}
+    for i, text in list(texts.items())[:40]:
+        raw = np.frombuffer((text or "").encode(), np.uint8)
+        there = np.zeros(1 << nbsvm.BITS)
+        for x in nbsvm.indicators(raw, np.array([0, len(raw)])):
+            there[x] = 1
+        scaled = there * np.sqrt(model.scale2.astype(float))
+        margin = (model.weight * there).sum() / max(np.linalg.norm(scaled), 1e-300) if there.any() else 0.0
+        assert got[i] == pytest.approx(1 / (1 + math.exp(-(model.slope * margin + model.shift))), abs=1e-4)
+    named = docs.withColumn("doc_id", F.concat(F.lit("d"), "doc_id"))
+    as_text = nbsvm.fit(named, labels.withColumn("doc_id", F.concat(F.lit("d"), "doc_id")), F.lit(True))
+    assert nbsvm.score(named, as_text).count() == len(texts)
+
+
 def test_pairs_of_terms_count_beyond_their_sum():
     rng = np.random.default_rng(1)
     x = rng.integers(0, 2, (600, 4)).astype(np.float32)
@@ -238,6 +276,29 @@ def test_pairs_of_terms_count_beyond_their_sum():
     assert ((raw > 0) == (y > 0)).mean() == 1.0
 
 
+def test_pure_interactions_are_learnt(spark):
+    rng = np.random.default_rng(5)
+    rows, labels = [], []
+    for i in range(1200):
+        one, two = rng.integers(0, 2, 2)
+        words = [f"noise{k}" for k in rng.integers(0, 400, 20)] + ["insult"] * one + ["group"] * two
+        rows.append((f"id{i}", " ".join(rng.permutation(words))))
+        labels.append((f"id{i}", int(one != two)))
+    table = spark.createDataFrame(rows, "doc_id string, text string")
+    model = factorization.fit(table, spark.createDataFrame(labels, "doc_id string, toxic int"), F.col("doc_id") < "id8")
+    held = {i: y for i, y in labels if i >= "id8"}
+    got = {r["doc_id"]: r["score"] for r in factorization.score(table, model).collect()}
+    assert np.mean([(got[i] >= 0.5) == y for i, y in held.items()]) > 0.95
+    # brute force: every pair of the terms that a text holds
+    index = {t: k for k, t in enumerate(model.terms.tolist())}
+    for i, text in rows[:30]:
+        raw = np.frombuffer(text.encode(), np.uint8)
+        terms = sorted({index[t] for t in factorization.term_hashes(raw, np.array([0, len(raw)]))[0].tolist() if t in index})
+        total = model.bias + sum(model.weight[a] for a in terms)
+        total += sum(float(model.factors[a] @ model.factors[b]) for k, a in enumerate(terms) for b in terms[k + 1 :])
+        assert got[i] == pytest.approx(1 / (1 + math.exp(-total)), abs=1e-6)
+
+
 def test_winnowing_on_edges(spark, odd, empty):
     span = "alpha beta gamma delta epsilon zeta eta theta iota kappa"
     items = spark.createDataFrame([(1, span + " lambda mu"), (2, "Two Words"), (3, None), (4, "!!"), (2, "Two Words"), (5, "again and again")], "item_id bigint, text string")
@@ -264,6 +325,10 @@ def test_poisson_counts(spark, odd, empty):
     large = poisson_mix.replicate(rows.filter("doc_id < 200"), {}, total=200 * 50, shuffled=False).groupBy("doc_id").count().toPandas()["count"]
     assert abs(large.mean() - 50) < 3 and 30 < large.var() < 75
     assert poisson_mix.replicate(rows, {"a": 1.0}, others=0.0).filter("source = 'b'").count() == 0
+    assert poisson_mix.replicate(rows, {"a": 0.0}, others=0.0).count() == 0
+    assert poisson_mix.replicate(rows, {"a": 0.0}).filter("source = 'a'").count() == 0
+    with pytest.raises(ValueError):
+        poisson_mix.replicate(rows, {"a": -1.0})
     got = poisson_mix.replicate(odd, {})
     assert set(odd.columns) <= set(got.columns) and got.count() >= 0
     assert poisson_mix.replicate(empty, {}).count() == 0
