@@ -425,6 +425,78 @@ def test_wordpieces_are_greedy(odd, empty):
     assert wordpiece.token_counts(empty).count() == 0
 
 
+def brute_verdicts(urls, rules, least=0.8, min_labelled=5, weight=5.0, critical=6.63, max_children=50, min_share=0.01):
+    """Verdicts by the definition, over a tree of plain dictionaries."""
+    parsed, rows = [], {}
+    for u in urls:
+        rest = (u or "").split("://", 1)[1] if "://" in (u or "") else ""
+        host = re.match(r"[^/?#]*", rest).group()
+        path = re.match(r"[^?#]*", rest[len(host) :]).group()
+        host = host.lower()
+        fits = [(len(h + p), h + p, v) for h, p, v in rules if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        typed = tuple(re.sub(r"[0-9]+", "<n>", x) for x in path.split("/")[1:])
+        parsed.append((host, typed, max(fits)[2] if fits else None))
+        if host:
+            rows.setdefault((host, typed), []).append(max(fits)[2] if fits else "free")
+    count = lambda keys: [sum(rows[k].count(o) for k in keys) for o in ("block", "allow", "free")]
+    found = {}
+
+    def walk(keys, level, purity, support):
+        b, a, _ = count(keys)
+        if b + a:
+            purity, support = (b + weight * purity) / (b + a + weight), b + a
+        kids = {}
+        for k in keys:
+            if len(k[1]) > level:
+                kids.setdefault(k[1][level], []).append(k)
+            else:
+                found[k] = (purity, support)
+        shape = {c: frozenset(k[1][level + 1] if len(k[1]) > level + 1 else "" for k in ks) for c, ks in kids.items()}
+        total, groups = sum(sum(count(ks)) for ks in kids.values()), {}
+        for c, ks in kids.items():
+            same = [d for d in kids if shape[d] == shape[c]]
+            pb, pa, _ = count([k for d in same for k in kids[d]])
+            cb, ca, cf = count(ks)
+            share = pb / (pb + pa) if pb + pa else 0
+            differs = (cb - (cb + ca) * share) ** 2 / ((cb + ca) * share * (1 - share)) if cb + ca and pb and pa else 0.0
+            if len(kids) > max_children and cb + ca + cf < min_share * total:
+                name = "*"
+            else:
+                name = ("*", shape[c]) if len(same) > 1 and differs <= critical else c
+            groups.setdefault(name, []).extend(ks)
+        for ks in groups.values():
+            walk(ks, level + 1, purity, support)
+
+    for host in {k[0] for k in rows}:
+        walk([k for k in rows if k[0] == host], 0, 0.5, 0)
+    return [
+        v or ("block" if h and found[h, t][0] >= least and found[h, t][1] >= min_labelled else "allow") for h, t, v in parsed
+    ]
+
+
+def test_templates_are_the_definition(spark):
+    rng = np.random.default_rng(9)
+    rules = (("a.io", "/ads", "block"), ("a.io", "/ok", "allow"), ("b.io", "/x/ads", "block"), ("b.io", "/x/ok", "allow"), ("c.io", "/", "allow"), ("d.io", "/news", "block"))
+    parts = ["ads", "adsense", "ok", "okay", "x", "y", "news", "1", "22", "p9"]
+    urls = ["http://{}/{}".format(rng.choice(["a.io", "w.b.io", "c.io", "d.io"]), "/".join(rng.choice(parts, rng.integers(1, 6)))) for _ in range(900)]
+    urls += [f"http://a.io/k{'abcdefgh'[i % 8]}{'qrstuvwx'[i // 8]}/z" for i in range(64)]
+    table = spark.createDataFrame(list(enumerate(urls)), "page_id bigint, url string")
+    out = {r["page_id"]: r["verdict"] for r in url_templates.judge_urls(table, rules).collect()}
+    want = brute_verdicts(urls, rules)
+    assert [out[i] for i in range(len(urls))] == want
+    free = [w for u, w in zip(urls, want, strict=True) if not any(x in u for x in ("a.io/ads", "a.io/ok", "b.io/x/ads", "b.io/x/ok", "c.io", "d.io/news"))]
+    assert {"block", "allow"} <= set(free)
+
+
+def test_merged_branches_decide(spark):
+    # /de/ is blocked by rule; its unlabelled sibling with the same children goes with it, /about is of its own
+    rules = (("s.io", "/de/", "block"), ("s.io", "/home/", "allow"))
+    urls = [f"http://s.io/de/item/{i}" for i in range(30)] + [f"http://s.io/en/item/{i}" for i in range(3)] + ["http://s.io/home/x"] * 30 + ["http://s.io/about"]
+    table = spark.createDataFrame(list(enumerate(urls)), "page_id bigint, url string")
+    out = [r["verdict"] for r in url_templates.judge_urls(table, rules).orderBy("page_id").collect()]
+    assert out == ["block"] * 33 + ["allow"] * 31
+
+
 def test_urls(spark):
     urls = [
         None, "", "no scheme/x", "http://A.Example.NET/en/1?q", "https://x.org/fr/2#f", "http://x.org", "http://notnet/", "ftp://de.example.com/de/9",
@@ -437,9 +509,10 @@ def test_urls(spark):
     assert got[5][2:] == (None, "allow") and got[6] == ("notnet", "/", None, "allow")
     assert got[7][2:] == ("example.com/de/", "block") and got[8][2:] == (None, "allow") and got[11][2:] == (None, "allow")
     assert url_templates.judge_urls(pages.filter("page_id = -1")).count() == 0
-    # most labelled urls of a template are blocked: the rest of it goes too, and other templates stay
+    # most labelled urls of a template are blocked: the rest of it goes too; another template of the host, whose
+    # labelled urls are not mostly blocked, stays
     rules = (("t.io", "/ads/1", "block"), ("t.io", "/ok", "allow"))
-    more = [f"http://t.io/ads/1{i}" for i in range(60)] + ["http://t.io/ads/2", "http://t.io/other/2", *[f"http://t.io/ok/{i}" for i in range(9)]]
+    more = [f"http://t.io/ads/1{i}" for i in range(60)] + ["http://t.io/ads/2", "http://t.io/other/2", *[f"http://t.io/ok/{i}" for i in range(30)]]
     table = spark.createDataFrame(list(enumerate(more)), "page_id bigint, url string")
     out = {r["page_id"]: r["verdict"] for r in url_templates.judge_urls(table, rules).collect()}
     assert out[60] == "block" and out[61] == "allow" and out[65] == "allow"
