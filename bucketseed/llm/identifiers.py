@@ -5,20 +5,25 @@ keys are the seed entities. A lexical pattern is what stands around a token: two
 or one on either side, with its quotes and the classes of its characters. Spark scores the graph of
 patterns and instances (distinct values) by turns: a pattern's confidence is the share of known
 entities of one kind among its instances; an instance joins a kind when its confident patterns,
-taken together, leave little doubt. The confident patterns are then applied to every text. A form
-that failed its check (a digit run that is no card, say) counts against its patterns and is never
-added.
-
-A pattern must be seen with a ``PATTERN_SHARE``-th of all instances, and with ``support`` of them,
-so the patterns that are broadcast have a bound whatever the corpus. Defined results: null text is
-empty; repeated rows give a row each, and repeated values count once in the graph; added spans
-never overlap base ones; other columns are carried or ignored as asked; an empty table has no
-patterns.
+taken together, leave little doubt. Turns go on until no instance joins. Tokens without digits are
+judged by slots, the patterns without classes: the slots that known entities mostly fill are looked
+up in all texts, every token in them counts against them, and a token that joins is known from then
+on. The confident patterns are then applied to every text. A form that failed its check (a digit run
+that is no card, say) counts against its patterns and is never added.
+
+A pattern needs ``support`` different known entities, at every size of the corpus. An instance is
+one token between white space, without quotes and punctuation at its ends, of any length; a value
+of several tokens is found only by the base forms. Defined results: null text is empty; texts are
+read whole; repeated rows give a row each, and repeated values count once in the graph; a score
+exactly at a limit passes; added spans never overlap base ones; of kinds with equal doubt the first
+by name wins; other columns, also those named like the results, are carried or replaced; an empty
+table has no patterns.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, bisect_right
 from dataclasses import dataclass
 
 import pyarrow as pa
@@ -30,7 +35,6 @@ from pyspark.sql import functions as F
 from bucketseed.staging import counted
 
 KINDS = ("email", "ip", "card", "phone")
-PATTERN_SHARE = 100_000
 ADDED = "secret"
 
 # Fixed forms. A local part is read back from its @, and runs of digits are entered only at their
@@ -43,7 +47,9 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 KEY = re.compile(r"(?=[0-9a-fA-F]*[0-9])(?=[0-9a-fA-F]*[a-fA-F])[0-9a-fA-F]{32,128}\Z")
 DIGIT = re.compile(r"[0-9]")
 EDGES = "\"'`()[]{}<>.,;:!?#*$%&|"
-SPACE = " \t\n\x0b\x0c\r"
+TOKEN = re.compile(r"[^\x20\x09-\x0D]+")
+#: Of a token that an entity is cut from, the context is the nearest so many characters.
+TOUCHING = 24
 
 
 def luhn(digits: str) -> bool:
@@ -93,107 +99,213 @@ def base_spans(text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, i
     return sorted(good, key=lambda s: (s[0], s[2])), bad
 
 
-def _words(piece: str) -> list[str]:
-    return [DIGIT.sub("9", w[:24].lower()) for w in piece.split()]
-
-
-def _patterns(text: str, start: int, end: int, left: int, right: int) -> list[int]:
-    """Hashes of what stands around text[start:end], whose token is text[left:right]."""
+class Tokens:
+    """A text's runs between white space, for looking up what stands around a place."""
+
+    def __init__(self, text: str):
+        self.text = text
+        self.spans = [m.span() for m in TOKEN.finditer(text)]
+        self.starts = [s for s, _ in self.spans]
+
+    def at(self, place: int) -> int:
+        """The number of the token that holds the character at ``place``."""
+        return bisect_right(self.starts, place) - 1
+
+    def word(self, i: int, low: int = 0, high: int | None = None) -> str:
+        """Token i between ``low`` and ``high``, folded; of a cut token the nearest characters."""
+        if not 0 <= i < len(self.spans):
+            return ""
+        s, e = self.spans[i]
+        if s < low:
+            s, e = low, min(e, low + TOUCHING)
+        if high is not None and e > high:
+            s, e = max(s, high - TOUCHING), high
+        return DIGIT.sub("9", self.text[s:e].lower())
+
+    def around(self, start: int, end: int) -> tuple[str, str, str]:
+        """The two words before ``start`` and the one after ``end``, parts of a token included."""
+        i = bisect_left(self.starts, start) - 1
+        j = bisect_right(self.starts, end - 1) - 1
+        if j >= 0 and self.spans[j][1] <= end:
+            j += 1
+        return self.word(i - 1), self.word(i, high=start), self.word(j, low=end)
+
+    def trimmed(self, i: int) -> tuple[int, int]:
+        """Token i without quotes and punctuation at its ends."""
+        s, e = self.spans[i]
+        while s < e and self.text[s] in EDGES:
+            s += 1
+        while e > s and self.text[e - 1] in EDGES:
+            e -= 1
+        return s, e
+
+
+def _key(*parts: str) -> int:
+    return xxhash.xxh64_intdigest("\0".join(parts)) - (1 << 63)
+
+
+def _patterns(text: str, start: int, end: int, near: tuple[str, str, str], quotes: tuple[str, str]) -> list[int]:
+    """Hashes of what stands around text[start:end], with the classes of its characters."""
     value = text[start:end]
     classes = "".join(
         c
         for c, there in (
-            ("9", any("0" <= x <= "9" for x in value[:256])),
-            ("a", any(x.isalpha() for x in value[:256])),
-            ("@", "@" in value[:256]),
-            (".", "." in value[:256]),
+            ("9", DIGIT.search(value) is not None),
+            ("a", any(x.isalpha() for x in value)),
+            ("@", "@" in value),
+            (".", "." in value),
         )
         if there
     )
-    before = ["", "", *_words(text[max(0, left - 60) : left])][-2:]
-    after = [*_words(text[right : right + 40]), ""][0]
-    quotes = text[left:start][-2:], text[end:right][:1]
-    keys = (("two", *before, quotes[0], classes), ("both", before[1], *quotes, after, classes))
-    return [xxhash.xxh64_intdigest("\0".join(k)) - (1 << 63) for k in keys]
+    return [_key("two", near[0], near[1], quotes[0], classes), _key("both", near[1], *quotes, near[2], classes)]
 
 
-def instances(text: str, good: list, bad: list) -> list[tuple[int, int, str | None, bool, list[int]]]:
-    """(start, end, seed kind or None, whether it may be added, patterns) of identifier-like tokens."""
-    found = []
-    taken = sorted([(s, e) for s, e, _ in good] + bad)
+def _slots(near: tuple[str, str, str], quotes: tuple[str, str]) -> list[int]:
+    """The same without the value's classes; a place with nothing before it is none."""
+    if not near[1]:
+        return []
+    return [_key("slot two", near[0], near[1], quotes[0]), _key("slot both", near[1], *quotes, near[2])]
+
+
+class Taken:
+    """Whether a token touches one of some spans."""
+
+    def __init__(self, spans: list[tuple[int, int]]):
+        self.starts, self.ends = [], []
+        for s, e in sorted(spans):
+            if self.ends and s < self.ends[-1]:
+                self.ends[-1] = max(self.ends[-1], e)
+            else:
+                self.starts.append(s)
+                self.ends.append(e)
+
+    def touches(self, start: int, end: int) -> bool:
+        i = bisect_left(self.starts, end)
+        return i > 0 and self.ends[i - 1] > start
+
+
+def instances(text: str, good: list, bad: list) -> list[tuple]:
+    """Base spans and tokens with a digit: (start, end, seed kind or None, whether it may be added,
+    patterns, slots, word before)."""
+    found, tokens = [], Tokens(text)
+
+    def add(start, end, seed, free, i):
+        left, right = tokens.spans[i]
+        near = tokens.around(start, end) if not free else (tokens.word(i - 2), tokens.word(i - 1), tokens.word(i + 1))
+        quotes = (text[max(left, start - 2) : start], text[end : min(end + 1, right)]) if free else ("", "")
+        slots = []
+        if free or tokens.trimmed(i) == (start, end):
+            own = (tokens.word(i - 2), tokens.word(i - 1), tokens.word(i + 1))
+            slots = _slots(own, (text[max(left, start - 2) : start], text[end : min(end + 1, right)]))
+        found.append((start, end, seed, free, _patterns(text, start, end, near, quotes), slots, tokens.word(i - 1) if slots else ""))
+
     for s, e, k in good:
-        found.append((s, e, KINDS[k], False, _patterns(text, s, e, s, e)))
+        add(s, e, KINDS[k], False, tokens.at(s))
     for s, e in bad:
-        if e - s >= 6:
-            found.append((s, e, None, False, _patterns(text, s, e, s, e)))
-    i, m = 0, DIGIT.search(text)
+        add(s, e, None, False, tokens.at(s))
+    taken = Taken([(s, e) for s, e, _ in good] + bad)
+    m = DIGIT.search(text)
     while m:
-        left = m.start()
-        while left > 0 and text[left - 1] not in SPACE and m.start() - left < 4096:
-            left -= 1
-        right = m.end()
-        while right < len(text) and text[right] not in SPACE:
-            right += 1
-        start, end = left, right
-        while start < end and text[start] in EDGES:
-            start += 1
-        while end > start and text[end - 1] in EDGES:
-            end -= 1
-        while i < len(taken) and taken[i][1] <= left:
-            i += 1
-        clear = all(not (s < right and left < e) for s, e in taken[i : i + 8])
-        if clear and 6 <= end - start <= 256:
-            value = text[start:end]
-            seed = ADDED if KEY.match(value) else None
-            found.append((start, end, seed, True, _patterns(text, start, end, left, right)))
+        i = tokens.at(m.start())
+        left, right = tokens.spans[i]
+        start, end = tokens.trimmed(i)
+        if start < end and not taken.touches(left, right):
+            add(start, end, ADDED if KEY.match(text[start:end]) else None, True, i)
         m = DIGIT.search(text, right)
     return found
 
 
-def _texts(batches):
-    """(batch, texts that may hold identifiers or None) row by row."""
+def slot_instances(text: str, taken: Taken, words: frozenset[str]) -> list[tuple[int, int, list[int]]]:
+    """(start, end, slots) of the tokens without digits that stand after one of ``words``."""
+    before = TOKEN.findall(DIGIT.sub("9", text.lower()))
+    after = [i for i, w in enumerate(before[:-1], 1) if w in words]
+    found = []
+    if after:
+        tokens = Tokens(text)
+        for i in after:
+            left, right = tokens.spans[i]
+            start, end = tokens.trimmed(i)
+            if start < end and not DIGIT.search(text, start, end) and not taken.touches(left, right):
+                near = (tokens.word(i - 2), tokens.word(i - 1), tokens.word(i + 1))
+                quotes = (text[max(left, start - 2) : start], text[end : min(end + 1, right)])
+                found.append((start, end, _slots(near, quotes)))
+    return found
+
+
+def _texts(batches, text: str, every: bool = False):
+    """(batch, texts that may hold identifiers or None) row by row; null is empty."""
     for batch in batches:
-        col = batch.column(batch.schema.get_field_index("text")).cast(pa.large_string())
-        col = col.fill_null("")
-        maybe = pc.match_substring_regex(col, "[0-9@]")
+        col = batch.column(batch.schema.get_field_index(text)).cast(pa.large_string()).fill_null("")
+        maybe = pc.match_substring_regex(col, "." if every else "[0-9@]")
         yield batch, [t.as_py() if m.as_py() else None for t, m in zip(col, maybe, strict=True)]
 
 
-def pattern_graph(docs: DataFrame, text: str = "text") -> tuple[DataFrame, DataFrame]:
-    """Distinct (pattern, inst) and distinct (inst, kind) of the seeds."""
+def _inst(value: str) -> int:
+    return xxhash.xxh64_intdigest(value.lower()) - (1 << 63)
+
+
+def pattern_graph(docs: DataFrame, text: str = "text") -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Distinct (pattern, inst), distinct (pattern, inst, before) of slots, and (inst, kind) of seeds."""
 
     def run(batches):
-        for _, texts in _texts(batches):
-            inst, kind, patterns = [], [], []
+        for _, texts in _texts(batches, "text"):
+            inst, kind, patterns, slots, words = [], [], [], [], []
             for t in texts:
                 if t is None:
                     continue
-                for s, e, seed, _, keys in instances(t, *base_spans(t)):
-                    inst.append(xxhash.xxh64_intdigest(t[s:e].lower()) - (1 << 63))
+                for s, e, seed, _, keys, own, before in instances(t, *base_spans(t)):
+                    inst.append(_inst(t[s:e]))
                     kind.append(seed)
                     patterns.append(keys)
+                    slots.append(own)
+                    words.append(before)
+            keys = pa.list_(pa.int64())
             yield pa.RecordBatch.from_arrays(
-                [pa.array(inst, pa.int64()), pa.array(kind, pa.string()), pa.array(patterns, pa.list_(pa.int64()))],
-                ["inst", "kind", "patterns"],
+                [pa.array(inst, pa.int64()), pa.array(kind, pa.string()), pa.array(patterns, keys), pa.array(slots, keys), pa.array(words, pa.string())],
+                ["inst", "kind", "patterns", "slots", "before"],
             )
 
     rows, _ = counted(
         docs.select(F.col(text).alias("text"))
-        .mapInArrow(run, "inst bigint, kind string, patterns array<bigint>")
-        .groupBy("inst", "kind", "patterns")
-        .agg(F.count("*").alias("n")),
+        .mapInArrow(run, "inst bigint, kind string, patterns array<bigint>, slots array<bigint>, before string")
+        .distinct(),
         "instances",
     )
     edges, _ = counted(rows.select(F.explode("patterns").alias("pattern"), "inst").distinct(), "edges")
+    slots, _ = counted(rows.select(F.explode("slots").alias("pattern"), "inst", "before").distinct(), "slots")
     seeds, _ = counted(rows.filter("kind IS NOT NULL").select("inst", "kind").distinct(), "seeds")
-    return edges, seeds
+    return edges, slots, seeds
+
+
+def slot_graph(docs: DataFrame, wanted: dict[int, str], text: str = "text") -> DataFrame:
+    """Distinct (pattern, inst) of the tokens without digits in the slots of ``wanted``."""
+    known = docs.sparkSession.sparkContext.broadcast((frozenset(wanted), frozenset(wanted.values())))
+
+    def run(batches):
+        keys, words = known.value
+        for _, texts in _texts(batches, "text", every=True):
+            pattern, inst = [], []
+            for t in texts:
+                if t is None:
+                    continue
+                good, bad = base_spans(t)
+                for s, e, slots in slot_instances(t, Taken([(x, y) for x, y, _ in good] + bad), words):
+                    for key in keys.intersection(slots):
+                        pattern.append(key)
+                        inst.append(_inst(t[s:e]))
+            yield pa.RecordBatch.from_arrays([pa.array(pattern, pa.int64()), pa.array(inst, pa.int64())], ["pattern", "inst"])
+
+    return counted(
+        docs.select(F.col(text).alias("text")).mapInArrow(run, "pattern bigint, inst bigint").distinct(), "slot-edges"
+    )[0]
 
 
 @dataclass
 class Patterns:
-    """Confident patterns: hash to (kind, confidence)."""
+    """Confident patterns and slots: hash to (kind, confidence); the words before the slots."""
 
     kinds: dict[int, tuple[str, float]]
+    words: frozenset[str] = frozenset()
 
     def judge(self, keys: list[int], least: float) -> str | None:
         doubt: dict[str, float] = {}
@@ -205,46 +317,71 @@ class Patterns:
         return best[0] if best and 1 - best[1] >= least else None
 
 
-def fit(
-    docs: DataFrame,
-    text: str = "text",
-    rounds: int = 4,
-    support: int = 5,
-    confident: float = 0.8,
-    accepted: float = 0.9,
-) -> Patterns:
-    """Score patterns and instances by turns until no instance joins (``rounds`` at most)."""
-    edges, known = pattern_graph(docs, text)
-    sizes, _ = counted(edges.groupBy("pattern").agg(F.count("*").alias("size")), "sizes")
-    least = max(support, edges.select("inst").distinct().count() // PATTERN_SHARE)
-    sure = None
-    for _ in range(rounds):
-        sure, _ = counted(
-            edges.join(known, "inst")
-            .groupBy("pattern", "kind")
-            .agg(F.count("*").alias("hits"))
-            .join(sizes, "pattern")
-            .select("pattern", "kind", "hits", (F.col("hits") / (F.col("size") + 0.2)).alias("sure"))
-            .filter((F.col("hits") >= least) & (F.col("sure") >= confident)),
-            "patterns",
-        )
-        joined, n = counted(
-            edges.join(sure, "pattern")
-            .groupBy("inst", "kind")
-            .agg((1 - F.exp(F.sum(F.log(1 - F.col("sure"))))).alias("score"))
-            .filter(F.col("score") >= accepted)
-            .select("inst", "kind")
-            .join(known, ["inst", "kind"], "left_anti"),
-            "joined",
-        )
+def _scored(edges: DataFrame, known: DataFrame, support: int, confident: float) -> DataFrame:
+    """(pattern, kind, hits, sure) of the patterns that mostly hold known entities of one kind."""
+    sizes = edges.groupBy("pattern").agg(F.count("*").alias("size"))
+    return (
+        edges.join(known, "inst")
+        .groupBy("pattern", "kind")
+        .agg(F.count("*").alias("hits"))
+        .filter(F.col("hits") >= support)
+        .join(sizes, "pattern")
+        .select("pattern", "kind", "hits", (F.col("hits") / (F.col("size") + 0.2)).alias("sure"))
+        .filter(F.col("sure") >= confident)
+    )
+
+
+def _joining(edges: DataFrame, sure: DataFrame, accepted: float) -> DataFrame:
+    """(inst, kind) of the instances whose patterns, taken together, leave little doubt."""
+    return (
+        edges.join(sure, "pattern")
+        .groupBy("inst", "kind")
+        .agg((1 - F.exp(F.sum(F.log(1 - F.col("sure"))))).alias("score"))
+        .filter(F.col("score") >= accepted)
+        .select("inst", "kind")
+    )
+
+
+def fit(docs: DataFrame, text: str = "text", support: int = 5, confident: float = 0.8, accepted: float = 0.9) -> Patterns:
+    """Score patterns and instances by turns until no instance joins.
+
+    Only confident patterns are gathered; each stands for at least ``support`` different entities.
+    """
+    edges, slots, known = pattern_graph(docs, text)
+    in_slots = slots.select("pattern", "inst").distinct()
+    wanted: dict[int, str] = {}
+    letters = None
+    while True:
+        sure, _ = counted(_scored(edges, known, support, confident), "patterns")
+        # a slot's confidence on tokens with digits bounds what it has with all tokens
+        likely = _scored(in_slots, known, support, confident).select("pattern").distinct().join(slots, "pattern")
+        fresh = [r for r in likely.groupBy("pattern").agg(F.min("before").alias("before")).collect() if r["pattern"] not in wanted]
+        if fresh:
+            new = {r["pattern"]: r["before"] for r in fresh}
+            more = slot_graph(docs, new, text)
+            wanted |= new
+            letters = more if letters is None else letters.unionByName(more)
+        joining = _joining(edges, sure, accepted)
+        if letters is not None:
+            sure_slots, _ = counted(
+                _scored(in_slots.unionByName(letters), known, support, confident).join(
+                    letters.select("pattern").distinct(), "pattern", "left_semi"
+                ),
+                "slots",
+            )
+            joining = joining.unionByName(_joining(letters, sure_slots, accepted))
+        joined, n = counted(joining.distinct().join(known, ["inst", "kind"], "left_anti"), "joined")
         if not n:
             break
-        known = known.unionByName(joined)
-    rows = sure.orderBy("pattern", F.desc("sure"), "kind").collect()  # bounded by PATTERN_SHARE
+        known, _ = counted(known.unionByName(joined), "known")
     kinds: dict[int, tuple[str, float]] = {}
-    for r in rows:
+    words = set()
+    for r in sure.orderBy("pattern", F.desc("sure"), "kind").collect():
         kinds.setdefault(r["pattern"], (r["kind"], float(r["sure"])))
-    return Patterns(kinds)
+    for r in sure_slots.orderBy("pattern", F.desc("sure"), "kind").collect() if letters is not None else []:
+        kinds.setdefault(r["pattern"], (r["kind"], float(r["sure"])))
+        words.add(wanted[r["pattern"]])
+    return Patterns(kinds, frozenset(words))
 
 
 def find_identifiers(
@@ -266,9 +403,9 @@ def find_identifiers(
 
     def run(batches):
         patterns = known.value
-        for batch, texts in _texts(batches):
+        for batch, texts in _texts(batches, text, every=bool(patterns.words)):
             base, every, clean = [], [], []
-            for row, t in enumerate(texts):
+            for t in texts:
                 if t is None:
                     base.append([])
                     every.append([])
@@ -276,9 +413,12 @@ def find_identifiers(
                     continue
                 good, bad = base_spans(t)
                 own = [(KINDS[k], s, e) for s, e, k in good]
+                places = [(s, e, keys) for s, e, _, free, keys, _, _ in instances(t, good, bad) if free] if DIGIT.search(t) else []
+                if patterns.words:
+                    places += slot_instances(t, Taken([(s, e) for s, e, _ in good] + bad), patterns.words)
                 more = []
-                for s, e, _, free, keys in instances(t, good, bad):
-                    kind = patterns.judge(keys, accepted) if free else None
+                for s, e, keys in places:
+                    kind = patterns.judge(keys, accepted)
                     if kind:
                         more.append((kind if kind == ADDED else f"like_{kind}", s, e))
                 both = sorted(own + more, key=lambda x: (x[1], order.get(x[0], len(KINDS)), x[0], x[2]))
@@ -288,19 +428,16 @@ def find_identifiers(
             cols = {n: batch.column(n) for n in names}
             if redacted:
                 changed = pa.array([c is not None for c in clean])
-                cols[text] = pc.if_else(changed, pa.array(clean, cols["text"].type), cols["text"])
+                cols[text] = pc.if_else(changed, pa.array(clean, cols[text].type), cols[text])
             yield pa.RecordBatch.from_arrays(
                 [*cols.values(), pa.array(base, pa.list_(span)), pa.array(every, pa.list_(span))],
                 [*names, "base_spans", "spans"],
             )
 
-    rows = docs.select(*names) if text == "text" else docs.select(*names).withColumnRenamed(text, "text")
-    names = rows.columns
+    rows = docs.select(*names)
     spans = "array<struct<kind:string,start:bigint,end:bigint>>"
     fields = ", ".join(f"`{n}` {t}" for n, t in rows.dtypes)
-    text_name, text = text, "text"
-    out = rows.mapInArrow(run, f"{fields}, base_spans {spans}, spans {spans}")
-    return out if text_name == "text" else out.withColumnRenamed("text", text_name)
+    return rows.mapInArrow(run, f"{fields}, base_spans {spans}, spans {spans}")
 
 
 def masked(text: str, spans: list[tuple[str, int, int]]) -> str:

@@ -119,6 +119,67 @@ def test_bootstrap_finds_keys_by_context(spark, odd, empty):
     assert identifiers.find_identifiers(empty, identifiers.fit(empty)).count() == 0
 
 
+def test_tokens_without_digits_join_by_slots(spark):
+    keys = [hashlib.sha1(str(i).encode()).hexdigest() for i in range(12)]
+    rows = [(i, f'some prose token = "{k}" more of it') for i, k in enumerate(keys)]
+    rows += [(50, 'yet another token = "correcthorse" more'), (51, "a token = plain and more words"), (52, "x" * 5000 + ' token = "' + "9z" * 400 + '" more')]
+    table = spark.createDataFrame(rows, "doc_id bigint, body string").withColumn("text", F.lit("another column"))
+    model = identifiers.fit(table, "body")
+    out = {r["doc_id"]: r for r in identifiers.find_identifiers(table, model, "body", redacted=True).collect()}
+    assert out[50]["body"] == 'yet another token = "<secret>" more' and out[50]["text"] == "another column"
+    assert out[51]["spans"] == [] and out[52]["body"].endswith('token = "<secret>" more')
+
+
+def test_cards_and_phones_are_the_definition(texts):
+    rng = np.random.default_rng(4)
+    made = ["".join(rng.choice(list("0123456789 -+().ab"), 60)) for _ in range(3000)] + ["4111 1111 1111 1111 4111-1111-1111-1112", "+49 (30) 123-456.7 +1 2"]
+    for text in made + list(texts.values()):
+        good, _ = identifiers.base_spans(text)
+        cards, phones = [], []
+        for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", text):
+            digits = [int(c) for c in m.group() if c.isdigit()]
+            double = sum(sum(divmod(2 * d, 10)) if i % 2 else d for i, d in enumerate(reversed(digits)))
+            if 12 <= len(digits) <= 19 and double % 10 == 0:
+                cards.append(m.span())
+        for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", text):
+            if 9 <= sum(c.isdigit() for c in m.group()) <= 15:
+                phones.append(m.span())
+        assert [g[:2] for g in good if g[2] == 2] == cards and [g[:2] for g in good if g[2] == 3] == phones
+
+
+def test_pattern_scores_are_the_definition(spark):
+    keys = [hashlib.sha1(str(i).encode()).hexdigest() for i in range(30)]
+    rows = [f'id {i} has token = "{k if i % 5 else k[:9]}" or key: {k[::-1] if i % 7 else "v" + k[:6]} and mail a{i}@b.cd end' for i, k in enumerate(keys)]
+    rows += [f"and mail c{i}@d.ef end" for i in range(9)] + ["and mail x9.y8 end", "key: word1 and"]
+    docs = spark.createDataFrame([(r,) for r in rows], "text string")
+    edges, known = {}, set()
+    for text in rows:
+        for s, e, seed, _, keys, _, _ in identifiers.instances(text or "", *identifiers.base_spans(text or "")):
+            value = (text[s:e]).lower()
+            for k in keys:
+                edges.setdefault(k, set()).add(value)
+            if seed:
+                known.add((value, seed))
+    while True:
+        sure = {}
+        for k, values in edges.items():
+            for kind in {c for _, c in known}:
+                hits = sum((v, kind) in known for v in values)
+                if hits >= 2 and hits / (len(values) + 0.2) >= 0.4:
+                    sure[k, kind] = hits / (len(values) + 0.2)
+        doubt = {}
+        for (k, kind), x in sure.items():
+            for v in edges[k]:
+                doubt[v, kind] = doubt.get((v, kind), 1.0) * (1 - x)
+        joined = {vk for vk, d in doubt.items() if 1 - d >= 0.6} - known
+        if not joined:
+            break
+        known |= joined
+    model = identifiers.fit(docs, support=2, confident=0.4, accepted=0.6)
+    got = {(k, kind): s for k, (kind, s) in model.kinds.items() if k in edges}
+    assert got == pytest.approx(sure) and sure
+
+
 def brute_tree(train: list[bytes], depth: int, contexts: int):
     """log10 probabilities by the recursive definition over explicit counts."""
     counts: dict[bytes, dict[int, int]] = {}
