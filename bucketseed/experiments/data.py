@@ -46,7 +46,8 @@ def letter_rows(spark, d):
 def lineitem_rows(spark, d):
     fixed = lambda c, k: F.floor(F.col(c) * F.lit(k) + F.lit(0.5)).cast("bigint")
     vec = F.array(fixed("l_quantity", 20000.0), fixed("l_extendedprice", 10.0), fixed("l_discount", 10000000.0), fixed("l_tax", 12500000.0))
-    return ft.with_row_id(load(spark, d, "lineitem")).select("id", vec.alias("vec"))
+    numeric = ["l_quantity", "l_extendedprice", "l_discount", "l_tax"]
+    return ft.with_row_id(load(spark, d, "lineitem"), keep=numeric).select("id", vec.alias("vec"))
 
 
 #: Five numeric and four categorical attributes.
@@ -57,7 +58,8 @@ NINE = (
 
 
 def nine_attributes(spark, d):
-    rows = ft.with_row_id(load(spark, d, "lineitem"))
+    own = [c for c in [*NINE[0], *NINE[1]] if c.startswith("l_")]
+    rows = ft.with_row_id(load(spark, d, "lineitem"), keep=["l_orderkey", "l_partkey", *own])
     return (
         rows.join(load(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey"))
         .join(load(spark, d, "part"), F.col("l_partkey") == F.col("p_partkey"))

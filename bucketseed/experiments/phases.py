@@ -40,11 +40,11 @@ LET = integer_directions(20, 26, 4)
 EMB_T, LIN_T, LET_T = 25, 30, 10
 
 
-def embedding_members(spark, d, mode="window"):
+def embedding_members(spark, d, mode="ranked"):
     return tf.transform_dense(data.embedding_rows(spark, d), "vec", 20, EMB_T, mode=mode, directions=EMB)
 
 
-def lineitem_members(spark, d, mode="window"):
+def lineitem_members(spark, d, mode="ranked"):
     return tf.transform_dense(data.lineitem_rows(spark, d), "vec", 20, LIN_T, mode=mode, directions=LIN)
 
 
@@ -55,6 +55,7 @@ _LET = sql.letter_rows() | sql.dense_members(LET, LET_T)
 query("t_dense_embeddings", sql.with_(_EMB, _MEMBERS))(embedding_members)
 query("t_dense_lineitem", sql.with_(_LIN, _MEMBERS))(lineitem_members)
 query("t_ranked_equals_window", sql.with_(_LIN, _MEMBERS))(lambda spark, d: lineitem_members(spark, d, "ranked"))
+query("t_window_cut", sql.with_(_EMB, _MEMBERS))(lambda spark, d: embedding_members(spark, d, "window"))
 
 
 @query("t_dense_letters", sql.with_(_LET, _MEMBERS))

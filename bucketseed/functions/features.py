@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from bucketseed.operators.ranking import ranked
+
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
 FIXED = 1_000_000
 
@@ -114,11 +116,15 @@ def json_field(col: Column | str, name: str) -> Column:
     return F.get_json_object(col, f"$.{name}")
 
 
-def with_row_id(df: DataFrame, mode: str = "rank") -> DataFrame:
-    """Adds ``id``: ``rank`` numbers rows by all columns (tests), ``hash`` is one pass (scale)."""
+def with_row_id(df: DataFrame, mode: str = "rank", keep: list[str] | None = None) -> DataFrame:
+    """``keep`` (default: all columns) and ``id``, the row's number from 1 by all columns.
+
+    ``rank`` is one distributed sort; ``hash`` takes a hash of the row in one pass (no number).
+    """
+    keep = keep or df.columns
     if mode == "hash":
-        return df.withColumn("id", F.xxhash64(*df.columns))
-    return df.withColumn("id", F.row_number().over(Window.orderBy(*df.columns)).cast("bigint"))
+        return df.select(*keep, F.xxhash64(*df.columns).alias("id"))
+    return ranked(df, df.columns, keep).select(*keep, (F.col("rank") + 1).alias("id"))
 
 
 def validate(df: DataFrame, numeric: list[str] = (), sets: list[str] = ()) -> tuple[DataFrame, DataFrame]:

@@ -15,6 +15,7 @@ from bucketseed.functions.features import token_id
 from bucketseed.functions.minhash import kl_signatures, minhash_values
 from bucketseed.functions.permutations import draw
 from bucketseed.functions.projection import dot, integer_directions, width_key
+from bucketseed.operators.ranking import ranked
 from bucketseed.staging import staged
 
 
@@ -46,11 +47,11 @@ def bucket_key(table: Column, key: Column, mode: str = "text") -> Column:
     return F.xxhash64(table, key)
 
 
-def rank_cut(projected: DataFrame, t: int, mode: str = "window", eps: float = 0.001) -> DataFrame:
+def rank_cut(projected: DataFrame, t: int, mode: str = "ranked", eps: float = 0.001) -> DataFrame:
     """Cut each table's (id, h) into ``t`` parts of equal count, ties by id.
 
-    ``window`` sorts a table in one task; ``ranked`` gives the same parts from a range-partitioned
-    sort and per-partition counts; ``quantile`` cuts at sketched quantiles in one scan.
+    ``ranked`` is one range-partitioned sort and counts of its ranges; ``window`` gives the same parts
+    with a whole table in one task, for comparison; ``quantile`` cuts at sketched quantiles in one scan.
     """
     if mode == "window":
         part = F.ntile(t).over(Window.partitionBy("table_id").orderBy("h", "id"))
@@ -64,31 +65,17 @@ def rank_cut(projected: DataFrame, t: int, mode: str = "window", eps: float = 0.
     return cut.select(bucket_key(F.col("table_id"), F.col("part")).alias("bucket_id"), "table_id", "id")
 
 
-def _ranked(projected: DataFrame, t: int) -> DataFrame:
-    spark = projected.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    # Staged with its partition number: a retried range exchange may place its bounds elsewhere.
-    ordered = staged(
-        projected.repartitionByRange(parts, "table_id", "h", "id").withColumn("_p", F.spark_partition_id()),
-        "ranges",
-    )
-    local = Window.partitionBy("_p", "table_id").orderBy("h", "id")
-    counts = ordered.groupBy("table_id", "_p").agg(F.count("*").alias("n"))
-    before = Window.partitionBy("table_id").orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = counts.select(
-        "table_id",
-        "_p",
-        F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"),
-        F.sum("n").over(Window.partitionBy("table_id")).alias("total"),
-    )
-    ranked = ordered.withColumn("r", F.row_number().over(local)).join(F.broadcast(offsets), ["table_id", "_p"])
-    rank = F.col("before") + F.col("r") - 1
-    small, large = F.floor(F.col("total") / t), F.col("total") % t
+def _ntile(t: int) -> Column:
+    """ntile's part, from 0, of a row by its ``rank`` among ``total``."""
+    rank, small, large = F.col("rank"), F.floor(F.col("total") / t), F.col("total") % t
     edge = large * (small + 1)
-    part = F.when(rank < edge, F.floor(rank / (small + 1))).otherwise(
+    return F.when(rank < edge, F.floor(rank / (small + 1))).otherwise(
         large + F.floor((rank - edge) / F.greatest(small, F.lit(1)))
-    )
-    return ranked.select("table_id", "id", part.cast("int").alias("part"))
+    ).cast("int")
+
+
+def _ranked(projected: DataFrame, t: int) -> DataFrame:
+    return ranked(projected, ["h", "id"], ["id"], ["table_id"]).select("table_id", "id", _ntile(t).alias("part"))
 
 
 def _quantile(projected: DataFrame, t: int, eps: float) -> DataFrame:
@@ -98,13 +85,15 @@ def _quantile(projected: DataFrame, t: int, eps: float) -> DataFrame:
     return projected.join(F.broadcast(cuts), "table_id").select("table_id", "id", part.alias("part"))
 
 
-def transform_dense(df: DataFrame, vec: str, m: int, t: int, seed: int = 0, mode: str = "window", directions=None) -> DataFrame:
+def transform_dense(df: DataFrame, vec: str, m: int, t: int, seed: int = 0, mode: str = "ranked", directions=None) -> DataFrame:
     """m projections, each cut into t parts: every id is in m buckets, one of each table."""
     if directions is None:
         dims = len(df.select(vec).first()[0])
         directions = integer_directions(m, dims, seed)
     hs = F.array(*[dot(vec, d) for d in directions])
-    return rank_cut(df.select("id", F.posexplode(hs).alias("table_id", "h")), t, mode)
+    # projected once: the range sort reads its input twice
+    rows = staged(df.select("id", hs.alias("hs")), "projected")
+    return rank_cut(rows.select("id", F.posexplode("hs").alias("table_id", "h")), t, mode)
 
 
 def width_buckets(df: DataFrame, vec: str, directions: list, offsets: list[float], width: float) -> DataFrame:
@@ -142,15 +131,26 @@ def kl_buckets(df: DataFrame, tokens: str, K: int, L: int, seed: int = 0, mode:
     )
 
 
-def discretise(df: DataFrame, numeric: list[str], bins: int, tie: str = "split", mode: str = "window") -> DataFrame:
+def discretise(df: DataFrame, numeric: list[str], bins: int, tie: str = "split", mode: str = "ranked") -> DataFrame:
     """Each numeric column as its rank part, 0 to bins - 1; ``tie='together'`` keeps equal values in one.
 
-    ``window`` sorts a column in one task; ``ranked`` gives the same parts without that, all columns
-    in one range-partitioned sort; ``quantile`` cuts at sketched quantiles.
+    ``ranked`` sorts all columns in one range-partitioned sort; ``window`` gives the same parts with a
+    whole column in one task, for comparison; ``quantile`` cuts at sketched quantiles.
     """
-    if mode == "ranked" and tie == "split":
+    if mode == "ranked":
         cells = F.posexplode(F.array(*[F.col(c).cast("double") for c in numeric]))
-        parts = _ranked(df.select("id", cells.alias("table_id", "h")), bins)
+        rows = staged(df.select("id", *numeric), "numeric").select("id", cells.alias("table_id", "h"))
+        if tie == "split":
+            parts = _ranked(rows, bins)
+        else:
+            placed = ranked(rows, ["h", "id"], ["id", "h"], ["table_id"])
+            first = placed.groupBy("table_id", "h").agg(F.min("rank").alias("rank"), F.max("total").alias("total"))
+            share = F.when(F.col("total") > 1, F.col("rank") / (F.col("total") - 1)).otherwise(0.0)
+            parts = (
+                placed.select("table_id", "id", "h")
+                .join(first.withColumnRenamed("h", "_h").withColumnRenamed("table_id", "_t"), (F.col("table_id") == F.col("_t")) & F.col("h").eqNullSafe(F.col("_h")))
+                .select("table_id", "id", F.least(F.floor(share * bins), F.lit(bins - 1)).cast("int").alias("part"))
+            )
         wide = parts.groupBy("id").agg(*[F.max(F.when(F.col("table_id") == i, F.col("part"))).alias(f"_{c}") for i, c in enumerate(numeric)])
         return df.join(wide, "id").select(*[F.col(f"_{c}").alias(c) if c in numeric else F.col(c) for c in df.columns])
     if mode == "quantile":
@@ -168,7 +168,7 @@ def discretise(df: DataFrame, numeric: list[str], bins: int, tie: str = "split",
     return df.select(*[F.col(f"_{c}").alias(c) if c in numeric else F.col(c) for c in df.columns if not (c.startswith("_") and c[1:] in numeric)])
 
 
-def hetero_tokens(df: DataFrame, numeric: list[str], categorical: list[str], bins: int = 10, tie: str = "split", mode: str = "window") -> DataFrame:
+def hetero_tokens(df: DataFrame, numeric: list[str], categorical: list[str], bins: int = 10, tie: str = "split", mode: str = "ranked") -> DataFrame:
     """(id, tokens): one (attribute, value) token for each attribute, numerics by rank part."""
     cut = discretise(df.select("id", *numeric, *categorical), numeric, bins, tie, mode) if numeric else df
     tokens = [
@@ -182,9 +182,7 @@ def joint_tokens(df: DataFrame, numeric: list[str], categorical: list[str], m: i
     """The other reading: the numeric sub-vector's m part numbers are m categorical attributes."""
     directions = directions or integer_directions(m, len(numeric), seed)
     hs = F.array(*[dot(F.array(*[F.col(c) for c in numeric]), d) for d in directions])
-    parts = df.select("id", F.posexplode(hs).alias("table_id", "h")).select(
-        "id", "table_id", (F.ntile(t).over(Window.partitionBy("table_id").orderBy("h", "id")) - 1).alias("part")
-    )
+    parts = _ranked(staged(df.select("id", hs.alias("hs")), "projected").select("id", F.posexplode("hs").alias("table_id", "h")), t)
     wide = parts.groupBy("id").agg(F.array_sort(F.collect_list(F.struct("table_id", "part"))).alias("ps"))
     cats = [token_id(F.concat_ws("=", F.lit(c), F.coalesce(F.col(c).cast("string"), F.lit("\u0000")))) for c in categorical]
     named = F.transform("ps", lambda p: token_id(F.concat_ws("=", F.concat(F.lit("p"), p["table_id"].cast("string")), p["part"].cast("string"))))

@@ -37,7 +37,7 @@ def _finish(members, rows, vec, center, dist, seeding, passes, timer, exact) ->
     return Run(members, groups, centers, assigned, rows, dict(timer.seconds))
 
 
-def cluster_dense(rows: DataFrame, m: int, t: int, seed: int = 0, mode: str = "window", passes: int = 1, exact: bool = True, vec: str = "vec", **seeding) -> Run:
+def cluster_dense(rows: DataFrame, m: int, t: int, seed: int = 0, mode: str = "ranked", passes: int = 1, exact: bool = True, vec: str = "vec", **seeding) -> Run:
     """rows(id, vec) by projections cut into t parts, group means, Euclidean distance."""
     timer = PhaseTimer()
     with timer("transform"):
@@ -45,7 +45,7 @@ def cluster_dense(rows: DataFrame, m: int, t: int, seed: int = 0, mode: str = "w
     return _finish(members, rows, vec, "vec", "euclidean", seeding, passes, timer, exact)
 
 
-def cluster_hetero(rows: DataFrame, numeric: list[str], categorical: list[str], K_t: int = 3, L_t: int = 10, bins: int = 10, seed: int = 0, passes: int = 1, mode: str = "window", **seeding) -> Run:
+def cluster_hetero(rows: DataFrame, numeric: list[str], categorical: list[str], K_t: int = 3, L_t: int = 10, bins: int = 10, seed: int = 0, passes: int = 1, mode: str = "ranked", **seeding) -> Run:
     """Mixed records by (attribute, value) tokens, group modes, 1 - Jaccard."""
     timer = PhaseTimer()
     with timer("transform"):
