@@ -18,7 +18,6 @@ from bucketseed.functions.permutations import draw
 from bucketseed.operators import assign as asg
 from bucketseed.operators import baselines, metrics, micro, seeding
 from bucketseed.operators import transform as tf
-from bucketseed.operators.centers import modes
 from bucketseed.plans import threephase
 from bucketseed.plans.grid import best_by_band, combinations, grid_search
 from bucketseed.sources.planted import planted_gauss, planted_mixed, planted_sets
@@ -62,7 +61,7 @@ def lloyd_three(spark, d):
     """Three updates on fixed-point vectors, so that every engine gets the same clusters."""
     rows = staged(data.embedding_rows(spark, d), "rows")
     init = staged(baselines.random_seeds(rows, 20, perms=ONE), "init")
-    out = asg.assign_passes(rows, init, 4, strategy="sql")
+    out = baselines.lloyd(rows, init=init, max_iter=3, tol=-1.0, exact=True).assigned
     return out.select("id", "cluster_id", F.round("dist", 3).alias("dist"))
 
 
@@ -75,9 +74,7 @@ _KM |= sql.assign_match("m0", centers="k0") | {"mg": "SELECT id, cluster_id AS s
 def kmodes_two(spark, d):
     rows = _coords(data.docs_sets(spark, d), 64)
     init = baselines.random_seeds(rows, 20, vec="tokens", perms=ONE).select("seed_id", F.col("vec").alias("modes"))
-    first = staged(asg.assign(rows, staged(init, "init"), "jaccard_tokens", "gemm", "tokens", "modes"), "first")
-    moved = staged(modes(asg.members_of(first), rows), "moved")
-    out = asg.assign(rows, moved, strategy="match", vec="tokens", center="modes")
+    out = baselines.kmodes(rows, init=staged(init, "init"), max_iter=1).assigned
     return out.select("id", "cluster_id", F.round("dist", 6).alias("dist"))
 
 
@@ -103,8 +100,14 @@ def _fitted(method: str, setting: str, fit) -> DataFrame:
     assigned = staged(found.assigned if isinstance(found, baselines.Fitted) else found, "assigned")
     seconds = time.perf_counter() - began
     row = _row(method, setting, assigned, seconds)
-    evaluations = found.evaluations if isinstance(found, baselines.Fitted) else 0
-    return row.withColumn("evaluations", F.lit(int(evaluations)))
+    fitted = found if isinstance(found, baselines.Fitted) else None
+    return row.withColumns(
+        {
+            "evaluations": F.lit(int(fitted.evaluations if fitted else 0)),
+            "iterations": F.lit(fitted.iterations if fitted else 0),
+            "converged": F.lit(fitted.converged if fitted else True),
+        }
+    )
 
 
 @query("l_lloyd")
@@ -127,7 +130,7 @@ def yinyang(spark, d):
 
 @query("l_sampled")
 def sampled(spark, d):
-    return _fitted("sample and split", "k=20", lambda: baselines.sampled_kmeans(data.letter_rows(spark, d), 20, 16))
+    return _fitted("sample and split", "k=20", lambda: baselines.sampled_kmeans(data.letter_rows(spark, d), 20))
 
 
 @query("l_kmodes")
@@ -169,14 +172,19 @@ def lsh_partition(spark, d):
 
 
 def _seeded(setting: str, run: threephase.Run) -> DataFrame:
-    return _row("similar buckets", setting, run.assigned, sum(run.seconds.values())).withColumn("evaluations", F.lit(0))
+    """One pass compares every row with every seed's center."""
+    evaluations = run.rows.count() * run.centers.count()
+    return _row("similar buckets", setting, run.assigned, sum(run.seconds.values())).withColumns(
+        {"evaluations": F.lit(evaluations), "iterations": F.lit(1), "converged": F.lit(True)}
+    )
 
 
 def _k(run: threephase.Run) -> int:
     return max(2, asg.k_star(run.assigned).first()[0])
 
 
-def _dense(rows: DataFrame, **params) -> DataFrame:
+def _dense(rows: DataFrame, iterations: int = 100, **params) -> DataFrame:
+    """The rivals go on until they converge or for ``iterations``; the row says which."""
     rows = staged(rows, "rows")
     run = threephase.cluster_dense(rows, **params)
     k = _k(run)
@@ -184,9 +192,9 @@ def _dense(rows: DataFrame, **params) -> DataFrame:
     return _union(
         [
             _seeded(text, run),
-            _fitted("lloyd", f"k={k}", lambda: baselines.lloyd(rows, k, max_iter=10)),
-            _fitted("yinyang", f"k={k}", lambda: baselines.yinyang(rows, k, max_iter=10)),
-            _fitted("sample and split", f"k={k}", lambda: baselines.sampled_kmeans(rows, k)),
+            _fitted("lloyd", f"k={k}", lambda: baselines.lloyd(rows, k, max_iter=iterations)),
+            _fitted("yinyang", f"k={k}", lambda: baselines.yinyang(rows, k, max_iter=iterations)),
+            _fitted("sample and split", f"k={k}", lambda: baselines.sampled_kmeans(rows, k, max_iter=iterations)),
         ]
     )
 
@@ -203,12 +211,12 @@ def w_letters(spark, d):
 
 @query("w_dense_lineitem")
 def w_lineitem(spark, d):
-    return _dense(data.lineitem_rows(spark, d), m=20, t=50, K=3, L=10, delta=10)
+    return _dense(data.lineitem_rows(spark, d), 20, m=20, t=50, K=3, L=10, delta=10)
 
 
 def _modal(run: threephase.Run, setting: str) -> DataFrame:
     k = _k(run)
-    return _union([_seeded(setting, run), _fitted("k-modes", f"k={k}", lambda: baselines.kmodes(run.rows, k, max_iter=5))])
+    return _union([_seeded(setting, run), _fitted("k-modes", f"k={k}", lambda: baselines.kmodes(run.rows, k, max_iter=20))])
 
 
 @query("w_hetero_lineitem")
@@ -277,21 +285,67 @@ def w_grid(spark, d):
     return best_by_band(grid_search(spark, run, combinations(t=[5, 20], m=[10, 20], L=[5, 10])), [10, 50, 200])
 
 
-@query("w_seeding")
-def w_seeding(spark, d):
-    """Three seeding methods, one assignment each; seconds are the seeding's alone."""
-    rows = staged(data.letter_rows(spark, d), "rows")
-    run = threephase.cluster_dense(rows, m=40, t=10, K=3, L=10, delta=5)
-    k = min(_k(run), 40)
-    out = [_row("similar buckets", f"k*={_k(run)}", run.assigned, run.seconds["transform"] + run.seconds["seed"])]
-    for name, seeds in (("k-means++", baselines.kmeanspp_seeds), ("random", baselines.random_seeds)):
+SEEDINGS = (("k-means++", baselines.kmeanspp_seeds), ("k-means||", baselines.kmeans_parallel_seeds), ("random", baselines.random_seeds))
+
+
+def _seeding(rows: DataFrame, **params) -> DataFrame:
+    """Seeding methods at the same k, one assignment each; seconds are the seeding's alone."""
+    rows = staged(rows, "rows")
+    run = threephase.cluster_dense(rows, **params)
+    k = _k(run)
+    out = [_row("similar buckets", f"k*={k}", run.assigned, run.seconds["transform"] + run.seconds["seed"])]
+    for name, seeds in SEEDINGS:
         began = time.perf_counter()
         centers = staged(seeds(rows, k), "seeds")
         seconds = time.perf_counter() - began
-        out.append(_row(name, f"k={k}", asg.assign(rows, centers), seconds))
+        out.append(_row(name, f"k={k}", baselines.seed_eval(rows, centers), seconds))
     return _union(out)
 
 
+def _delta(rows: DataFrame, share: int) -> int:
+    """The least group size as a share of the rows, so that k stays alike over the table's sizes."""
+    return max(5, rows.count() // share)
+
+
+@query("w_seeding")
+def w_seeding(spark, d):
+    rows = data.letter_rows(spark, d)
+    return _seeding(rows, m=40, t=10, K=3, L=10, delta=_delta(rows, 50))
+
+
+@query("w_seeding_embeddings")
+def w_seeding_embeddings(spark, d):
+    return _seeding(data.embedding_rows(spark, d), m=40, t=10, K=3, L=10, delta=8)
+
+
+@query("w_repeats")
+def w_repeats(spark, d):
+    """Means of five repeats with seeds of their own."""
+    rows = staged(data.letter_rows(spark, d), "rows")
+    delta, out = _delta(rows, 50), []
+
+    def figures(assigned, seconds):
+        s = metrics.radius_summary(assigned).first()
+        return {"k_star": float(s["k_star"]), "mean_radius": s["mean_radius"], "max_radius": s["max_radius"], "seconds": seconds}
+
+    def ours(seed):
+        run = threephase.cluster_dense(rows, m=40, t=10, K=3, L=10, delta=delta, seed=seed)
+        return figures(run.assigned, sum(run.seconds.values()))
+
+    def random(k):
+        def one(seed):
+            began = time.perf_counter()
+            found = staged(asg.assign(rows, staged(baselines.random_seeds(rows, k, seed), "seeds")), "assigned")
+            return figures(found, time.perf_counter() - began)
+
+        return one
+
+    mean = metrics.repeat(ours)
+    for name, got in (("similar buckets", mean), ("random", metrics.repeat(random(max(2, round(mean["k_star"])))))):
+        out.append((name, 5, *[float(got[k]) for k in ("k_star", "mean_radius", "max_radius", "seconds")]))
+    return spark.createDataFrame(out, "method string, repeats int, k_star double, mean_radius double, max_radius double, seconds double")
+
+
 @query("w_local_parts")
 def w_local_parts(spark, d):
     """One, two and four workers' shares voting locally: radius stays, seeds change little."""
@@ -319,23 +373,38 @@ def w_load_balance(spark, d):
 
 @query("w_communication")
 def w_communication(spark, d):
+    """What the executed plans of a global and a local round exchange, and the groups that then move."""
     members = staged(tf.kl_buckets(data.docs_sets(spark, d), "tokens", 2, 6), "members")
-    perms = draw(8, 0)
-    bins = staged(seeding.make_bins(seeding.bucket_signatures(members, perms), 2, 4, 2, 2), "bins")
-    local = staged(seeding.seed_round(members, 2, 4, 2, perms, parts=2), "local")
-    return metrics.communication(members, bins, local)
+    perms, out = draw(8, 0), []
+    whole = seeding.seed_round(members, 2, 4, 2, perms)
+    out.append(("global", metrics.exchanged(whole), whole.count()))
+    with seeding.colocated(spark):
+        local = seeding.local_round(members, 2, 4, 2, perms, 2)
+        out.append(("local", metrics.exchanged(local), local.count()))
+    return spark.createDataFrame(
+        [(m, x["exchanges"], x["rows"], x["bytes"], n) for m, x, n in out],
+        "vote string, exchanges int, rows bigint, bytes bigint, group_rows bigint",
+    )
 
 
 @query("w_seeding_slope")
 def w_seeding_slope(spark, d):
-    """Seconds of seeding against k: about flat for random seeds, linear for sequential draws."""
+    """Seconds of seeding against k, at the k that the seeded runs find for smaller and larger groups."""
     rows = staged(data.letter_rows(spark, d), "rows")
-    points = []
-    for k in (4, 8, 16):
-        for name, seeds in (("k-means++", baselines.kmeanspp_seeds), ("random", baselines.random_seeds)):
-            points.append((name, k, metrics.timed(seeds(rows, k))))
+    members = staged(tf.transform_dense(rows, "vec", 40, 10), "members")
+    points, n = [], rows.count()
+    seeding.similar_bucket_seeds(members, 3, 10, n).count()  # the first run compiles
+    for share in (10, 20, 50):
+        began = time.perf_counter()
+        groups = staged(seeding.similar_bucket_seeds(members, 3, 10, max(3, n // share)), "groups")
+        k = max(2, groups.agg(F.count_distinct("group_id")).first()[0])
+        points.append(("similar buckets", k, time.perf_counter() - began))
+        for name, seeds in SEEDINGS:
+            began = time.perf_counter()
+            staged(seeds(rows, k), "seeds")
+            points.append((name, k, time.perf_counter() - began))
     table = spark.createDataFrame(points, "method string, k_star bigint, seconds double")
-    return _union([metrics.slope(table.filter(F.col("method") == m)).withColumn("method", F.lit(m)) for m in ("k-means++", "random")])
+    return _union([metrics.slope(table.filter(F.col("method") == m)).withColumn("method", F.lit(m)) for m in ("similar buckets", *[name for name, _ in SEEDINGS])])
 
 
 @query("w_planted")

@@ -68,7 +68,12 @@ def quantile_cut(spark, d):
     return tf.bucket_stats(lineitem_members(spark, d, "quantile"))
 
 
-@query("t_centered_buckets")
+_CENTERED = sql.embedding_rows() | sql.projected(EMB[:2]) | {
+    "near": "SELECT a.table_id::VARCHAR || ':' || a.id::VARCHAR AS bucket_id, count(*)::BIGINT AS n FROM proj a JOIN proj b ON a.table_id = b.table_id AND abs(a.h - b.h) <= 2.5e7 GROUP BY ALL"
+}
+
+
+@query("t_centered_buckets", sql.with_(_CENTERED, "SELECT * FROM near"))
 def centered(spark, d):
     """Overlapping buckets of width 0.05 over two projections, as counts by bucket."""
     rows = data.embedding_rows(spark, d)
@@ -359,6 +364,23 @@ def mode_rows(spark, d):
     return sparse_seeded(spark, d)[1].select("seed_id", F.concat_ws(",", F.col("modes").cast("array<string>")).alias("modes"), "size")
 
 
+_HSEEDS = _HET | sql.seeding(LK, LL, LDELTA, L1) | sql.dedup(LK, L2) | sql.NUMBERED
+_HMODES = _HSEEDS | sql.modes(source="sets")
+
+
+def hetero_seeded(spark, d):
+    """Token rows and mode centers of the nine-attribute records."""
+    rows = staged(tf.hetero_tokens(data.nine_attributes(spark, d), *data.NINE), "tokens")
+    members = staged(tf.kl_buckets(rows, "tokens", 3, 10), "members")
+    groups = numbered(staged(seeding.similar_bucket_seeds(members, LK, LL, LDELTA), "seeds"))
+    return rows, staged(modes(groups, rows), "centers")
+
+
+@query("a_modes_hetero", sql.with_(_HMODES, "SELECT seed_id, array_to_string(modes, ',') AS modes, size::BIGINT AS size FROM centers"))
+def hetero_mode_rows(spark, d):
+    return hetero_seeded(spark, d)[1].select("seed_id", F.concat_ws(",", F.col("modes").cast("array<string>")).alias("modes"), "size")
+
+
 _OUT = "SELECT id, cluster_id, round(dist, 6) AS dist FROM assigned"
 _ROUND = lambda df: df.select("id", "cluster_id", F.round("dist", 6).alias("dist"))
 
@@ -404,10 +426,24 @@ def gemm(spark, d):
     return embedding_assigned(spark, d, "gemm").select("id", "cluster_id")
 
 
+@query("a_assign_hetero", sql.with_(_HMODES | sql.assign_match(source="sets"), _OUT))
+def assign_hetero(spark, d):
+    rows, centers = hetero_seeded(spark, d)
+    return _ROUND(asg.assign(rows, centers, "jaccard_tokens", vec="tokens", center="modes"))
+
+
 @query("a_shortlist")
 def shortlist(spark, d):
+    """Rows, and how many get the full scan's center, or one as near, from the shortlist."""
     rows, centers = sparse_seeded(spark, d)
-    return asg.assign(rows, centers, strategy="shortlist", vec="tokens", center="modes")
+    short = asg.assign(rows, centers, strategy="shortlist", vec="tokens", center="modes")
+    full = asg.assign(rows, centers, "jaccard_tokens", vec="tokens", center="modes")
+    both = short.join(full.select("id", F.col("cluster_id").alias("best"), F.col("dist").alias("least")), "id")
+    return both.agg(
+        F.count("*").alias("rows"),
+        F.sum((F.col("cluster_id") == F.col("best")).cast("bigint")).alias("same_center"),
+        F.sum((F.col("dist") <= F.col("least") + 1e-9).cast("bigint")).alias("as_near"),
+    )
 
 
 @query("a_radius_ranks", sql.with_(_EASSIGN, "SELECT cluster_id, size, (rank() OVER (ORDER BY radius DESC))::INTEGER AS rnk, (dense_rank() OVER (ORDER BY size))::INTEGER AS by_size, round(cume_dist() OVER (ORDER BY size), 9) AS share FROM (SELECT cluster_id, count(*)::BIGINT AS size, round(max(dist), 3) AS radius FROM assigned GROUP BY cluster_id)"))

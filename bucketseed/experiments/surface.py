@@ -164,6 +164,35 @@ def regression(spark, d):
     )
 
 
+@query(
+    "o_scalars",
+    "SELECT o_orderkey, round(log2(o_totalprice), 6) AS bits, sign(o_totalprice - 150000)::DOUBLE AS side, levenshtein(o_orderpriority, '5-LOW')::INTEGER AS edits, "
+    "date_diff('day', DATE '1992-01-01', o_orderdate::DATE)::INTEGER AS days, date_diff('month', DATE '1992-01-01', date_trunc('month', o_orderdate)::DATE)::DOUBLE AS months, "
+    "o_orderkey % 7 > 0 AND o_custkey % 7 > 0 AS no_seventh, (CASE WHEN o_orderkey % 2 = 1 THEN o_orderkey ELSE 0 END + o_custkey + o_orderkey)::BIGINT AS merged, "
+    "'{\"s\":\"' || o_orderstatus || '\",\"k\":' || o_orderkey || '}' AS js, 'STRUCT<k: BIGINT>' AS shape FROM orders",
+)
+def scalars(spark, d):
+    """Functions that no other query uses: on numbers, strings, dates, arrays, maps and JSON."""
+    day = F.col("o_orderdate").cast("date")
+    first = F.lit("1992-01-01").cast("date")
+    odd = F.map_filter(F.create_map(F.lit("a"), F.col("o_orderkey")), lambda k, v: v % 2 == 1)
+    both = F.map_zip_with(
+        F.create_map(F.lit("a"), F.col("o_custkey")), F.create_map(F.lit("a"), F.col("o_orderkey")), lambda k, x, y: x + y
+    )
+    return load(spark, d, "orders").select(
+        "o_orderkey",
+        F.round(F.log2("o_totalprice"), 6).alias("bits"),
+        F.signum(F.col("o_totalprice") - 150000).alias("side"),
+        F.levenshtein("o_orderpriority", F.lit("5-LOW")).alias("edits"),
+        F.datediff(day, first).alias("days"),
+        F.months_between(F.trunc(day, "month"), first).alias("months"),
+        F.forall(F.array("o_orderkey", "o_custkey"), lambda x: x % 7 > 0).alias("no_seventh"),
+        (F.coalesce(F.get(F.map_values(odd), F.lit(0)), F.lit(0)) + F.get(F.map_values(both), F.lit(0))).cast("bigint").alias("merged"),
+        F.to_json(F.struct(F.col("o_orderstatus").alias("s"), F.col("o_orderkey").alias("k"))).alias("js"),
+        F.schema_of_json(F.lit('{"k": 1}')).alias("shape"),
+    )
+
+
 _TUMBLE = "SELECT time_bucket(INTERVAL '1 hour', ts) AS start, event_type, count(*)::BIGINT AS n FROM events GROUP BY ALL"
 
 
@@ -226,9 +255,13 @@ def assign(spark, d):
     return radii(_drain(spark, scoring.assign_stream(stream, ids, vectors), "assign", "append"))
 
 
-@query("st_interval_join")
+@query(
+    "st_interval_join",
+    "SELECT b.event_id, a.ts AS click_ts FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL '2 hours' WHERE a.event_type = 'click' AND b.event_type = 'purchase'",
+)
 def interval_join(spark, d):
     clicks = _events(spark, d).filter("event_type = 'click'").select("user_id", F.col("ts").alias("click_ts"))
     buys = _events(spark, d).filter("event_type = 'purchase'").select("user_id", F.col("ts").alias("buy_ts"), "event_id")
     joined = scoring.interval_join(clicks, buys, "user_id", "click_ts", "buy_ts", "2 hours")
-    return _drain(spark, joined.select("b.event_id", "a.click_ts"), "interval", "append")
+    out = _drain(spark, joined.select("b.event_id", "a.click_ts"), "interval", "append")
+    return out.select("event_id", F.col("click_ts").cast("timestamp_ntz").alias("click_ts"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -11,6 +13,7 @@ from bucketseed.functions.distances import distance, numpy_distances
 from bucketseed.functions.minhash import kl_signatures, minhash_values
 from bucketseed.functions.permutations import draw
 from bucketseed.operators.centers import centroids, modes
+from bucketseed.operators.ranking import ranked
 from bucketseed.staging import staged
 
 #: Centers are broadcast whole up to this size; beyond it they come in blocks of it.
@@ -18,7 +21,10 @@ CENTER_BYTES = 200_000_000
 
 
 def assign_sql(data: DataFrame, centers: DataFrame, dist: str = "euclidean", vec: str = "vec", center: str = "vec") -> DataFrame:
-    """Broadcast nested loop in columns; exact on fixed-point vectors. For few centers."""
+    """Broadcast nested loop in columns; exact on fixed-point vectors. For few centers.
+
+    Centers beyond ``CENTER_BYTES`` (see ``assign``) come here in chunks below it.
+    """
     c = F.broadcast(centers.select("seed_id", F.col(center).alias("_c")))
     d = distance(dist)(F.col(vec), F.col("_c"))
     near = data.select("id", vec).crossJoin(c).groupBy("id").agg(F.min(F.struct(d.alias("dist"), "seed_id")).alias("b"))
@@ -109,13 +115,28 @@ def assign_shortlist(data: DataFrame, centers: DataFrame, tokens: str = "tokens"
 
 def assign(data: DataFrame, centers: DataFrame, dist: str = "euclidean", strategy: str = "gemm", vec: str = "vec", center: str = "vec") -> DataFrame:
     """(id, cluster_id, dist) by one of: sql, gemm, match, shortlist."""
-    if strategy == "sql":
-        return assign_sql(data, centers, dist, vec, center)
+    if strategy in ("sql", "gemm"):
+        one = (
+            (lambda c: assign_sql(data, c, dist, vec, center))
+            if strategy == "sql"
+            else (lambda c: assign_blocks(data, *collected(c, center), dist, vec))
+        )
+        size = centers.agg(F.count("*").alias("n"), F.coalesce(F.max(F.size(center)), F.lit(1)).alias("dims")).first()
+        per = max(1, CENTER_BYTES // (8 * size["dims"]))
+        if size["n"] <= per:
+            return one(centers)
+        placed = ranked(centers, ["seed_id"], ["seed_id", center])
+        parts = [
+            staged(one(placed.filter(F.col("rank").between(at, at + per - 1)).select("seed_id", center)), "chunk")
+            for at in range(0, size["n"], per)
+        ]
+        near = reduce(DataFrame.unionByName, parts).groupBy("id").agg(F.min(F.struct("dist", "cluster_id")).alias("b"))
+        return near.select("id", "b.cluster_id", "b.dist")
     if strategy == "match":
         return assign_match(data, centers, vec, center)
     if strategy == "shortlist":
         return assign_shortlist(data, centers, vec, center)
-    return assign_blocks(data, *collected(centers, center), dist, vec)
+    raise ValueError(strategy)
 
 
 def members_of(assigned: DataFrame) -> DataFrame:

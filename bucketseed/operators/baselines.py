@@ -16,6 +16,10 @@ from bucketseed.operators.centers import centroids, modes
 from bucketseed.staging import staged
 
 
+#: Draws of k-means++ between two writings of the squared distances.
+KEPT = 16
+
+
 @dataclass
 class Fitted:
     """What an iterative method ends with; ``evaluations`` counts row-center distances."""
@@ -25,6 +29,7 @@ class Fitted:
     iterations: int
     evaluations: int
     objective: list[float] = field(default_factory=list)
+    converged: bool = True
 
 
 def uniform(seed: int, *cols: Column) -> Column:
@@ -47,20 +52,50 @@ def _to_centers(df: DataFrame, rows: list) -> DataFrame:
 def kmeanspp_seeds(df: DataFrame, k: int, seed: int = 0, vec: str = "vec") -> DataFrame:
     """(seed_id, vec) by k sequential draws, each with chance proportional to squared distance.
 
-    A draw is an exponential race: the least -ln(u) / d2 over all rows is one aggregation; squared
-    distances are kept per row and only the newest center is compared.
+    A draw is an exponential race: the least -ln(u) / d2 over all rows, one row a task. Squared
+    distances are written beside the rows every ``KEPT`` draws; between, the newest centers are compared.
     """
     rows = df.select("id", F.transform(vec, lambda x: x.cast("double")).alias("vec"))
     first = rows.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").first()
     chosen = [(first["id"], first["vec"])]
-    state = rows.withColumn("d2", F.lit(float("inf")))
+    state, held = rows.withColumn("d2", F.lit(float("inf"))), 0
+
+    def near(batch, c):
+        x = batch.column("vec").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+        d2 = batch.column("d2").to_numpy().copy()
+        for center in c:
+            d2 = np.minimum(d2, ((x - center) ** 2).sum(1))
+        return d2
+
+    def update(c):
+        def run(batches):
+            for batch in batches:
+                yield batch.set_column(batch.schema.get_field_index("d2"), "d2", pa.array(near(batch, c)))
+
+        return run
+
+    def race(c):
+        def run(batches):
+            for batch in batches:
+                d2 = near(batch, c)
+                with np.errstate(divide="ignore"):
+                    w = np.where(d2 > 0, -np.log(batch.column("u").to_numpy()) / d2, np.inf)
+                if len(w) and np.isfinite(w.min()):
+                    i = int(w.argmin())
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(w[i : i + 1]), batch.column("id")[i : i + 1], batch.column("vec")[i : i + 1]], ["w", "id", "vec"]
+                    )
+
+        return run
+
+    kind = dict(rows.dtypes)["id"]
     for turn in range(1, k):
-        newest = F.array(*[F.lit(float(x)) for x in chosen[-1][1]])
-        d2 = F.aggregate(F.zip_with("vec", newest, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
-        # staged each time: an expression that grows with the turn would be computed many times over
-        state = staged(state.withColumn("d2", F.least("d2", d2)), "kmeanspp")
-        race = F.struct((-F.log(uniform(seed + turn, F.col("id"))) / F.col("d2")).alias("w"), "id", "vec")
-        best = state.filter("d2 > 0").agg(F.min(race).alias("b")).first()["b"]
+        if len(chosen) - held > KEPT:
+            newest = np.array([v for _, v in chosen[held:]])
+            state, held = staged(state.mapInArrow(update(newest), state.schema), "kmeanspp"), len(chosen)
+        newest = np.array([v for _, v in chosen[held:]])
+        drawn = state.withColumn("u", uniform(seed + turn, F.col("id"))).mapInArrow(race(newest), f"w double, id {kind}, vec array<double>")
+        best = drawn.agg(F.min(F.struct("w", "id", "vec")).alias("b")).first()["b"]
         if best is None:
             break
         chosen.append((best["id"], best["vec"]))
@@ -130,22 +165,26 @@ def _sums(data: DataFrame, centers: np.ndarray, dist: str = "euclidean") -> tupl
     return total, count, cost
 
 
-def lloyd(df: DataFrame, k: int | None = None, init: DataFrame | None = None, max_iter: int = 20, tol: float = 1e-4, seed: int = 0, vec: str = "vec") -> Fitted:
-    """Assign and update until centers move less than ``tol``; empty clusters vanish, so k* <= k."""
+def lloyd(df: DataFrame, k: int | None = None, init: DataFrame | None = None, max_iter: int = 20, tol: float = 1e-4, seed: int = 0, vec: str = "vec", exact: bool = False) -> Fitted:
+    """Assign and update until centers move less than ``tol``; empty clusters vanish, so k* <= k.
+
+    ``exact`` rounds the means of fixed-point vectors, so that all engines agree; clusters keep the
+    ids of their seeds.
+    """
     data = df.select("id", F.transform(vec, lambda x: x.cast("double")).alias("vec"))
-    _, c = collected(init if init is not None else random_seeds(data, k, seed), "vec")
-    c, n, done, costs, evaluations = c.astype(float), data.count(), 0, [], 0
-    while done < max_iter:
+    ids, c = collected(init if init is not None else random_seeds(data, k, seed), "vec")
+    c, n, done, costs, evaluations, settled = c.astype(float), data.count(), 0, [], 0, False
+    while done < max_iter and not settled:
         total, count, cost = _sums(data, c)
         evaluations += n * len(c)
         costs.append(cost)
         live = count > 0
         moved = total[live] / count[live][:, None]
+        if exact:
+            moved = np.floor((2 * total[live] + count[live][:, None]) / (2.0 * count[live][:, None]))
         shift = float(np.abs(moved - c[live]).max()) if live.any() else 0.0
-        c, done = moved, done + 1
-        if shift <= tol:
-            break
-    return Fitted(c, assign_blocks(data, np.arange(len(c)), c), done, evaluations + n * len(c), costs)
+        c, ids, done, settled = moved, ids[live], done + 1, shift <= tol
+    return Fitted(c, assign_blocks(data, ids, c), done, evaluations + n * len(c), costs, settled)
 
 
 def yinyang(df: DataFrame, k: int | None = None, init: DataFrame | None = None, groups: int | None = None, max_iter: int = 20, tol: float = 1e-4, seed: int = 0, vec: str = "vec") -> Fitted:
@@ -155,8 +194,8 @@ def yinyang(df: DataFrame, k: int | None = None, init: DataFrame | None = None,
     then groups are, and only the rest is computed. The state of n * groups numbers is the price.
     """
     data = df.select("id", F.transform(vec, lambda x: x.cast("double")).alias("vec"))
-    _, c = collected(init if init is not None else random_seeds(data, k, seed), "vec")
-    c = c.astype(float)
+    ids, c = collected(init if init is not None else random_seeds(data, k, seed), "vec")
+    c, settled = c.astype(float), False
     groups = groups or max(1, len(c) // 10)
     rng = np.random.default_rng(seed)
     g = c[rng.choice(len(c), groups, replace=False)]
@@ -217,11 +256,11 @@ def yinyang(df: DataFrame, k: int | None = None, init: DataFrame | None = None,
                         tie = (v == u[rows]) & (cols[i] < a[rows])
                         better = (v < u[rows]) | tie
                         # the center left behind bounds its own group
-                        for r, bi in zip(rows[better], cols[i[better]], strict=True):
-                            low[r, of[a[r]]] = min(low[r, of[a[r]]], u[r])
-                            second = np.partition(d[np.searchsorted(rows, r)], 1)[1] if d.shape[1] > 1 else np.inf
-                            low[r, j] = min(second, u[r]) if of[a[r]] == j else second
-                            a[r], u[r] = bi, v[np.searchsorted(rows, r)]
+                        r, left = rows[better], of[a[rows[better]]]
+                        low[r, left] = np.minimum(low[r, left], u[r])
+                        second = np.partition(d[better], 1, axis=1)[:, 1] if d.shape[1] > 1 else np.full(len(r), np.inf)
+                        low[r, j] = np.where(left == j, np.minimum(second, u[r]), second)
+                        a[r], u[r] = cols[i[better]], v[better]
                 else:
                     low = np.zeros((0, groups))
                 offs = lambda w: pa.array(np.arange(n + 1, dtype=np.int32) * w)
@@ -231,7 +270,7 @@ def yinyang(df: DataFrame, k: int | None = None, init: DataFrame | None = None,
                 )
         return run
 
-    while done < max_iter:
+    while done < max_iter and not settled:
         held = df.sparkSession.sparkContext.broadcast((c, of, drift, alive))
         state = staged(state.mapInArrow(step(held), schema), "bounds")
         sums = state.groupBy("a").agg(F.count("*").alias("n"), F.sum("work").alias("work"), *[F.sum(F.get("vec", F.lit(i))).alias(f"s{i}") for i in range(dims)]).collect()
@@ -243,25 +282,26 @@ def yinyang(df: DataFrame, k: int | None = None, init: DataFrame | None = None,
         drift = np.sqrt(((moved - c) ** 2).sum(1))
         shift = float(np.abs(moved - c)[seen].max())
         alive = alive & seen
-        c, done = moved, done + 1
-        if shift <= tol:
-            break
+        c, done, settled = moved, done + 1, shift <= tol
     c = c[alive]
-    return Fitted(c, assign_blocks(data, np.arange(len(c)), c), done, evaluations, [])
+    evaluations += data.count() * len(c)
+    return Fitted(c, assign_blocks(data, ids[alive], c), done, evaluations, [], settled)
 
 
-def sampled_kmeans(df: DataFrame, k: int, per_center: int = 256, split: bool = True, max_iter: int = 10, seed: int = 0, vec: str = "vec") -> Fitted:
-    """Train on the per_center * k rows of least hash, refill empty clusters by splitting the largest
-    (so k* = k), then assign all rows once."""
+def sampled_kmeans(df: DataFrame, k: int, per_center: int = 256, split: bool = True, max_iter: int = 20, tol: float = 1e-4, seed: int = 0, vec: str = "vec") -> Fitted:
+    """Train on per_center * k rows (on average, by a threshold on the id's hash), refill empty
+    clusters by splitting the largest (so k* = k), then assign all rows once."""
     data = df.select("id", F.transform(vec, lambda x: x.cast("double")).alias("vec"))
-    sample = staged(data.orderBy(F.xxhash64(F.lit(seed), F.col("id")), "id").limit(per_center * k), "sample")
+    n_all, settled, done = data.count(), False, 0
+    sample = staged(data.filter(uniform(seed, F.col("id")) < per_center * k / max(n_all, 1)), "sample")
     _, c = collected(random_seeds(sample, k, seed + 1), "vec")
     c, evaluations, n = c.astype(float), 0, sample.count()
-    for _ in range(max_iter):
+    while done < max_iter and not settled:
         total, count, _ = _sums(sample, c)
         evaluations += n * len(c)
-        live = count > 0
+        live, before = count > 0, c.copy()
         c[live] = total[live] / count[live][:, None]
+        done, settled = done + 1, bool(live.all()) and float(np.abs(c - before).max()) <= tol
         if split:
             for j in np.flatnonzero(~live):
                 big = int(count.argmax())
@@ -269,24 +309,23 @@ def sampled_kmeans(df: DataFrame, k: int, per_center: int = 256, split: bool = T
                 c[big] = c[big] * (1 - 1 / 1024) - 1e-9
                 count[j] = count[big] // 2
                 count[big] -= count[j]
-    return Fitted(c, assign_blocks(data, np.arange(len(c)), c), max_iter, evaluations + data.count() * len(c))
+    return Fitted(c, assign_blocks(data, np.arange(len(c)), c), done, evaluations + n_all * len(c), [], settled)
 
 
 def kmodes(df: DataFrame, k: int | None = None, init: DataFrame | None = None, max_iter: int = 20, seed: int = 0, tokens: str = "tokens", exact: bool = False) -> Fitted:
     """Assign by equal coordinates and move to modes until no row changes; empty clusters vanish."""
     data = df.select("id", F.col(tokens).alias("tokens"))
     centers = init if init is not None else random_seeds(data, k, seed, "tokens").select("seed_id", F.col("vec").alias("modes"))
-    before, done = None, 0
-    out = None
-    while done < max_iter:
-        out = staged(assign(data, centers, "jaccard_tokens", "sql" if exact else "gemm", "tokens", "modes"), "kmodes")
-        done += 1
-        if before is not None and not out.join(before.select("id", F.col("cluster_id").alias("was")), "id").filter("cluster_id <> was").take(1):
-            break
+    near = lambda: staged(assign(data, centers, "jaccard_tokens", "sql" if exact else "gemm", "tokens", "modes"), "kmodes")
+    n, done, settled = data.count(), 0, False
+    out, evaluations = near(), n * centers.count()
+    while done < max_iter and not settled:
         before = out
         centers = staged(modes(members_of(out), data).select("seed_id", "modes"), "modes")
+        out, done, evaluations = near(), done + 1, evaluations + n * centers.count()
+        settled = not out.join(before.select("id", F.col("cluster_id").alias("was")), "id").filter("cluster_id <> was").take(1)
     _, c = collected(centers, "modes")
-    return Fitted(c, out, done, done * len(c))
+    return Fitted(c, out, done, evaluations, [], settled)
 
 
 def mllib_kmeans(df: DataFrame, k: int, seed: int = 0, bisecting: bool = False, vec: str = "vec") -> DataFrame:

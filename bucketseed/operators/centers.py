@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from bucketseed.operators.ranking import ranked
+
 
 def numbered(groups: DataFrame) -> DataFrame:
     """Adds ``seed_id`` by the order of group ids: one row per group is ranked, not per member."""
-    order = Window.orderBy("group_id")
-    seeds = groups.select("group_id").distinct().withColumn("seed_id", F.row_number().over(order).cast("bigint"))
-    return groups.join(seeds, "group_id")
+    seeds = ranked(groups.select("group_id").distinct(), ["group_id"], ["group_id"])
+    return groups.join(seeds.select("group_id", (F.col("rank") + 1).alias("seed_id")), "group_id")
 
 
 def rounded_mean(total: Column, n: Column) -> Column:

@@ -75,10 +75,26 @@ def exchanges(df: DataFrame) -> int:
     return len(re.findall(r"\bExchange\b", df._jdf.queryExecution().executedPlan().toString()))
 
 
-def communication(members: DataFrame, bins: DataFrame, groups: DataFrame) -> DataFrame:
-    """One row: rows that a global vote exchanges, and rows that local voting sends instead."""
-    moved = bins.join(members.select("bucket_id", "id"), "bucket_id").agg(F.count("*").alias("global_rows"))
-    return moved.crossJoin(groups.agg(F.count("*").alias("local_rows")))
+def exchanged(df: DataFrame) -> dict[str, int]:
+    """Runs ``df``: exchanges of the plan that ran, and the rows and bytes they wrote."""
+    plan = df._jdf.queryExecution()
+    plan.toRdd().count()
+    found, todo = {"exchanges": 0, "rows": 0, "bytes": 0}, [plan.executedPlan()]
+    while todo:
+        node = todo.pop()
+        name = node.getClass().getSimpleName()
+        if name == "AdaptiveSparkPlanExec":
+            todo.append(node.executedPlan())
+        elif name.endswith("QueryStageExec"):
+            todo.append(node.plan())
+        elif name != "ReusedExchangeExec":
+            if name == "ShuffleExchangeExec":
+                found["exchanges"] += 1
+                for key, metric in (("rows", "shuffleRecordsWritten"), ("bytes", "shuffleBytesWritten")):
+                    found[key] += node.metrics().apply(metric).value()
+            children = node.children()
+            todo += [children.apply(i) for i in range(children.size())]
+    return found
 
 
 def sample_share(k: int, n: int, per_center: int = 256) -> float:

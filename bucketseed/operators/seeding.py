@@ -6,14 +6,15 @@ and their cost doesn't depend on how many groups come out.
 
 from __future__ import annotations
 
+from contextlib import contextmanager
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from bucketseed.functions.minhash import minhash_long, signature
 from bucketseed.functions.permutations import Permutations, draw
-from bucketseed.staging import staged
+from bucketseed.staging import staged, staged_by
 
 
 def bucket_signatures(members: DataFrame, perms: Permutations, bucket: str = "bucket_id") -> DataFrame:
@@ -21,7 +22,7 @@ def bucket_signatures(members: DataFrame, perms: Permutations, bucket: str = "bu
     return minhash_long(members, bucket, "id", perms)
 
 
-def make_bins(sigs: DataFrame, K: int, L: int, least: int = 2, delta: int = 1, prune: bool = True, mode: str = "text", extra: tuple[str, ...] = ()) -> DataFrame:
+def make_bins(sigs: DataFrame, K: int, L: int, least: int = 2, delta: int = 1, prune: bool = True, mode: str = "text") -> DataFrame:
     """(bin_id, bin_table, bucket_id, bin_size) of bins with ``least`` or more buckets.
 
     ``prune`` drops bins that can't reach ``delta``: an id needs votes from over half of b buckets,
@@ -35,9 +36,9 @@ def make_bins(sigs: DataFrame, K: int, L: int, least: int = 2, delta: int = 1, p
             ]
         )
     ).alias("s")
-    placed = sigs.select("bucket_id", "size", *extra, table).select(
+    placed = sigs.select("bucket_id", "size", table).select(
         "bucket_id", "size", "s.bin_table",
-        F.concat_ws(":", *[F.col(c).cast("string") for c in extra], F.col("s.bin_table").cast("string"), F.col("s.sig").cast("string")).alias("bin_id"),
+        F.concat_ws(":", F.col("s.bin_table").cast("string"), F.col("s.sig").cast("string")).alias("bin_id"),
     )
     totals = placed.groupBy("bin_id").agg(F.count("*").alias("bin_size"), F.sum("size").alias("total"))
     totals = totals.filter(F.col("bin_size") >= least)
@@ -88,22 +89,61 @@ def dedup_groups(groups: DataFrame, K: int, L: int = 1, seed: int = 1, singleton
     return at_least(majority_vote(bins, rows), min_size)
 
 
-def seed_round(members: DataFrame, K: int, L: int, delta: int, perms: Permutations, prune: bool = True, parts: int | None = None) -> DataFrame:
-    """Signatures, bins, vote and threshold. With ``parts``, each part votes on its own tables.
+def seed_round(members: DataFrame, K: int, L: int, delta: int, perms: Permutations, prune: bool = True) -> DataFrame:
+    """Signatures, bins, vote and threshold."""
+    bins = make_bins(bucket_signatures(members, perms), K, L, 2, delta, prune)
+    return at_least(majority_vote(bins, members), delta)
+
+
+@contextmanager
+def colocated(spark: SparkSession):
+    """While this holds, a join may keep rows where a part of its keys has placed them."""
+    key = "spark.sql.requireAllClusterKeysForCoPartition"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
 
-    Parts hold whole hash tables (table_id modulo parts); the part is in every bin's key, so after
-    one exchange by part nothing but the groups has to move.
+def local_round(members: DataFrame, K: int, L: int, delta: int, perms: Permutations, parts: int, prune: bool = True) -> DataFrame:
+    """``seed_round`` within each part of the hash tables (table_id modulo ``parts``).
+
+    Members are exchanged once, by part; signatures, bins and votes stay where that put them, as
+    all their keys begin with the part. Plan and run it while ``colocated`` holds.
     """
-    if parts:
-        rows = members.select(
-            F.concat_ws("/", F.pmod("table_id", F.lit(parts)).cast("string"), "bucket_id").alias("bucket_id"),
-            F.pmod("table_id", F.lit(parts)).alias("part"), "id",
+    # never null, so that the join below adds no filter of its own and the exchange is used twice
+    part, bucket = F.coalesce(F.pmod("table_id", F.lit(parts)), F.lit(0)), F.coalesce("bucket_id", F.lit(""))
+    rows = members.select(part.alias("part"), bucket.alias("bucket_id"), "id").repartition(parts, "part")
+    sigs = rows.groupBy("part", "bucket_id").agg(
+        F.count("*").alias("size"), *[F.min(perms.of(F.col("id"), i)).alias(f"h{i}") for i in range(K * L)]
+    )
+    table = F.explode(
+        F.array(
+            *[
+                F.struct(F.lit(l).alias("t"), signature([F.col(f"h{l * K + k}") for k in range(K)], "text").alias("sig"))
+                for l in range(L)
+            ]
         )
-        sigs = bucket_signatures(rows, perms).withColumn("part", F.split("bucket_id", "/")[0])
-        bins = make_bins(sigs, K, L, 2, delta, prune, extra=("part",))
-        return at_least(majority_vote(bins, rows), delta)
-    bins = make_bins(bucket_signatures(members, perms), K, L, 2, delta, prune)
-    return at_least(majority_vote(bins, members), delta)
+    ).alias("s")
+    placed = sigs.select("part", "bucket_id", "size", table).select(
+        "part", "bucket_id", "size",
+        F.concat_ws(":", F.col("part").cast("string"), F.col("s.t").cast("string"), "s.sig").alias("bin_id"),
+    )
+    bin_ = Window.partitionBy("part", "bin_id")
+    counted = placed.withColumns({"bin_size": F.count("*").over(bin_), "total": F.sum("size").over(bin_)}).filter("bin_size >= 2")
+    if prune:
+        counted = counted.filter(F.col("total") >= delta * (F.floor(F.col("bin_size") / 2) + 1))
+    votes = (
+        counted.select("part", "bucket_id", "bin_id", "bin_size")
+        .join(rows, ["part", "bucket_id"])
+        .groupBy("part", "bin_id", "bin_size", "id")
+        .agg(F.count("*").alias("votes"))
+        .filter(F.col("votes") * 2 > F.col("bin_size"))
+    )
+    large = votes.withColumn("_n", F.count("*").over(Window.partitionBy("part", "bin_id"))).filter(F.col("_n") >= delta)
+    return large.select(F.col("bin_id").alias("group_id"), "id", "votes", "bin_size")
 
 
 def similar_bucket_seeds(
@@ -129,19 +169,24 @@ def similar_bucket_seeds(
     """
     first, second = draw(K * L, seed, kind), draw(K, seed + 1, kind)
     if batches:
+        # a folder for each batch: a batch reads its own members alone
+        split = staged_by(members.withColumn("_batch", F.pmod("table_id", F.lit(batches)).cast("int")), "_batch", "batches")
         groups = reduce(
             DataFrame.unionByName,
             [
                 staged(
-                    seed_round(members.filter(F.pmod("table_id", F.lit(batches)) == b), K, L, delta, first, prune)
+                    seed_round(split.filter(F.col("_batch") == b), K, L, delta, first, prune)
                     .withColumn("group_id", F.concat_ws("/", F.lit(str(b)), "group_id")),
                     "batch",
                 )
                 for b in range(batches)
             ],
         )
+    elif vote == "local":
+        with colocated(members.sparkSession):
+            groups = staged(local_round(members, K, L, delta, first, parts, prune), "local")
     else:
-        groups = seed_round(members, K, L, delta, first, prune, parts if vote == "local" else None)
+        groups = seed_round(members, K, L, delta, first, prune)
     if not dedup:
         return groups
     return dedup_groups(staged(groups, "groups"), K, 1, seed + 1, singletons, perms=second)
