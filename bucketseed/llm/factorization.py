@@ -31,6 +31,8 @@ from bucketseed.staging import staged
 BEGINNINGS = (4, 5, 6, 7, 8)
 #: A pair of terms is judged if so many texts of the sample hold both.
 PAIR_TEXTS = 12
+#: Columns whose pairs are judged at once on the driver.
+BLOCK = 128
 
 
 def term_hashes(data: np.ndarray, offs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -96,20 +98,24 @@ def paired(x: np.ndarray, y: np.ndarray, least_z: float, most: int) -> np.ndarra
     A pair's texts of class 1 are held against the sum of what either column adds to the base rate.
     The columns of the ``most`` strongest pairs beyond ``least_z`` come back.
     """
-    n, hit = len(y), (y > 0).astype(np.float32)
-    both, both_hit = x.T @ x, x.T @ (x * hit[:, None])
-    base = float(hit.mean())
-    alone = np.diag(both_hit) / np.maximum(np.diag(both), 1)
-    floor = 1 / (n + 2)
-    expected = np.clip(alone[:, None] + alone[None, :] - base, floor, 1 - floor)
-    # a rate known from few texts is no firm expectation: the spread has at least the base rate's
-    spread = both * np.maximum(expected * (1 - expected), base * (1 - base))
-    z = np.abs(both_hit - both * expected) / np.sqrt(np.maximum(spread, 1e-9))
-    z[both < PAIR_TEXTS] = 0
-    # columns that (nearly) always come together are one term to the classes
-    z[both > 0.9 * np.minimum.outer(np.diag(both), np.diag(both))] = 0
-    first, second = np.nonzero(np.triu(z >= least_z, 1))
-    best = np.argsort(-z[first, second], kind="stable")[:most]
+    n, base, positive = len(y), float((y > 0).mean()), x[y > 0]
+    size = x.sum(0, dtype=np.float64)
+    alone = positive.sum(0, dtype=np.float64) / np.maximum(size, 1)
+    floor, found = 1 / (n + 2), []
+    for at in range(0, x.shape[1], BLOCK):
+        own = slice(at, at + BLOCK)
+        both, both_hit = x[:, own].T @ x, positive[:, own].T @ positive
+        expected = np.clip(alone[own, None] + alone[None] - base, floor, 1 - floor)
+        # a rate known from few texts is no firm expectation: the spread has at least the base rate's
+        spread = both * np.maximum(expected * (1 - expected), base * (1 - base))
+        z = np.abs(both_hit - both * expected) / np.sqrt(np.maximum(spread, 1e-9))
+        z[both < PAIR_TEXTS] = 0
+        # columns that (nearly) always come together are one term to the classes
+        z[both > 0.9 * np.minimum(size[own, None], size[None])] = 0
+        first, second = np.nonzero(np.triu(z >= least_z, at + 1))
+        found.append((z[first, second], first + at, second))
+    z, first, second = (np.concatenate(parts) for parts in zip(*found, strict=True))
+    best = np.argsort(-z, kind="stable")[:most]
     return np.unique(np.concatenate([first[best], second[best]]))
 
 
@@ -119,15 +125,16 @@ def descend(x: np.ndarray, y: np.ndarray, rank: int, epochs: int, decay: float)
     parts = [np.zeros(1), np.zeros(x.shape[1]), rng.normal(0, 0.05, (x.shape[1], rank))]
     first, second = [np.zeros_like(p) for p in parts], [np.zeros_like(p) for p in parts]
     target = (y > 0).astype(float)
+    single = lambda a: a.astype(x.dtype)  # noqa: E731  else numpy makes a double copy of x each time
     for step in range(1, epochs + 1):
         bias, w, v = parts
-        s = x @ v
-        raw = bias[0] + x @ w + 0.5 * ((s**2).sum(1) - x @ (v**2).sum(1))
+        s = (x @ single(v)).astype(float)
+        raw = bias[0] + x @ single(w) + 0.5 * ((s**2).sum(1) - x @ single((v**2).sum(1)))
         err = (1 / (1 + np.exp(-np.clip(raw, -40, 40))) - target) / len(y)
         grads = [
             np.array([err.sum()]),
-            x.T @ err + decay * w,
-            x.T @ (err[:, None] * s) - (x.T @ err)[:, None] * v + decay * v,
+            x.T @ single(err) + decay * w,
+            x.T @ single(err[:, None] * s) - (x.T @ single(err))[:, None] * v + decay * v,
         ]
         for i, g in enumerate(grads):
             first[i] = 0.9 * first[i] + 0.1 * g
@@ -202,15 +209,25 @@ def fit(
     # at most ``most`` rows of at most ``terms`` + ``pair_terms`` cells
     table = sample.mapInArrow(marked, "h bigint, y int, x array<bigint>").toArrow().sort_by("h")
     y = np.where(table["y"].to_numpy() == 1, 1.0, -1.0)
-    x = np.zeros((len(y), len(chosen)), np.float32)
-    for i, at in enumerate(table["x"].to_pylist()):
-        x[i, at] = 1
+    cells = table["x"].combine_chunks()
+    row, col = np.repeat(np.arange(len(y)), np.diff(cells.offsets.to_numpy())), cells.flatten().to_numpy()
+    del table, cells
+
+    def matrix(columns: np.ndarray) -> np.ndarray:
+        place = np.full(len(chosen), -1)
+        place[columns] = np.arange(len(columns))
+        there = place[col] >= 0
+        x = np.zeros((len(y), len(columns)), np.float32)
+        x[row[there], place[col[there]]] = 1
+        return x
+
     alone = np.isin(chosen, single.astype(np.int64).view(np.uint64))
     often = np.flatnonzero(np.isin(chosen, frequent.astype(np.int64).view(np.uint64)))
-    alone[often[paired(x[:, often], y, pair_z, pairs)]] = True
-    chosen, x = chosen[alone], x[:, alone]
-    if not len(chosen):
+    alone[often[paired(matrix(often), y, pair_z, pairs)]] = True
+    kept = np.flatnonzero(alone)
+    if not len(kept):
         return empty
+    chosen, x = chosen[kept], matrix(kept)
     bias, w, v = descend(x, y, rank, epochs, decay)
     return Model(chosen, w, v, float(bias[0]))
 
