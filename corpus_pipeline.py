@@ -3,6 +3,11 @@
 Each stage takes (spark, docs, sf_dir), works on all rows it is given and returns a DataFrame, which
 is written as Parquet and read again as the next stage's ``docs``. All but the last return the
 columns of ``documents``.
+
+Defined results: stages judge rows, so rows that share an id or have none are told apart by their
+texts; a null or empty text is never toxic by its terms, a copy, contaminated or personal; a row
+that repeats another is its copy; texts are read whole, however long; extra columns are carried,
+and mixing replaces those named copy, rate or shuffle_key; empty tables give no rows.
 """
 
 from __future__ import annotations
@@ -22,7 +27,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def deduplication(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
+    """One document of each group of near duplicates: of equal ids, the earlier row."""
     return near_duplicates.one_of_each(docs)
 
 
@@ -54,7 +59,7 @@ STAGES = [
     ("mixing", mixing),
 ]
 
-#: The learnt stages can't be expressed in SQL; tests hold the stages against brute force.
+#: The learnt stages can't be expressed in SQL; tests/llm/test_pipeline.py holds all five against brute force.
 ORACLE_SQL = None
 
 
