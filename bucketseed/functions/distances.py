@@ -62,14 +62,46 @@ def distance(name: str):
     return NAMED[name]
 
 
-def numpy_distances(x: np.ndarray, c: np.ndarray, name: str) -> np.ndarray:
-    """Rows of ``x`` against rows of ``c``; the numpy twin of the columns."""
+class Matches:
+    """Counts of equal coordinates between rows and fixed centers.
+
+    A center's value is its rank among the centers' values of that coordinate, so that a comparison
+    reads two bytes; a row's value that no center has gets the rank beyond the last.
+    """
+
+    def __init__(self, c: np.ndarray):
+        self.rank_type = np.uint16 if len(c) < 65535 else np.uint32
+        self.values, self.ranks = [], []
+        for column in c.T:
+            found, at = np.unique(column, return_inverse=True)
+            self.values.append(found)
+            self.ranks.append(at.astype(self.rank_type))
+        self.size = len(c)
+
+    def count(self, x: np.ndarray) -> np.ndarray:
+        total = np.zeros((len(x), self.size), np.int64)
+        few = np.zeros(total.shape, np.uint8)
+        same = np.empty(total.shape, bool)
+        for j, (found, ranks) in enumerate(zip(self.values, self.ranks, strict=True)):
+            at = np.searchsorted(found, x[:, j])
+            known = found[np.minimum(at, len(found) - 1)] == x[:, j]
+            own = np.where(known, at, len(found)).astype(self.rank_type)
+            np.equal(own[:, None], ranks[None], out=same)
+            np.add(few, same.view(np.uint8), out=few)
+            if j % 255 == 254:
+                total += few
+                few[:] = 0
+        return total + few
+
+
+def numpy_distances(x: np.ndarray, c: np.ndarray, name: str, matches: Matches | None = None) -> np.ndarray:
+    """Rows of ``x`` against rows of ``c`` (or of ``matches`` made of them); the numpy twin of the columns."""
     if name == "euclidean":
         d2 = (x * x).sum(1)[:, None] + (c * c).sum(1)[None] - 2 * x @ c.T
         return np.sqrt(np.maximum(d2, 0))
     if name == "manhattan":
         return np.abs(x[:, None] - c[None]).sum(-1)
-    m = (x[:, None] == c[None]).sum(-1)
+    m = (matches or Matches(c)).count(x)
     d = x.shape[1]
     if name == "hamming":
         return (d - m).astype(float)

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from bucketseed.functions.distances import distance, numpy_distances
+from bucketseed.functions.distances import Matches, distance, numpy_distances
 from bucketseed.functions.minhash import kl_signatures, minhash_values
 from bucketseed.functions.permutations import draw
 from bucketseed.operators.centers import centroids, modes
@@ -47,7 +47,8 @@ def assign_blocks(data: DataFrame, ids: np.ndarray, vectors: np.ndarray, dist: s
     def run(batches):
         names, c = held.value
         c = c.astype(float) if dist in ("euclidean", "manhattan") else c
-        step = block if dist == "euclidean" else max(1, min(block, 4_000_000 // max(c.size // max(len(c), 1), 1) // 64))
+        step = max(1, min(block, 4_000_000 // max(c.size // max(len(c), 1), 1) // 64)) if dist == "manhattan" else block
+        made = [None if dist in ("euclidean", "manhattan") else Matches(c[at : at + step]) for at in range(0, len(c), step)]
         for batch in batches:
             n = batch.num_rows
             flat = batch.column("vec").flatten().to_numpy(zero_copy_only=False)
@@ -57,7 +58,7 @@ def assign_blocks(data: DataFrame, ids: np.ndarray, vectors: np.ndarray, dist: s
             rows = n if dist == "euclidean" else 64
             for r in range(0, n, rows):
                 for at in range(0, len(c), step):
-                    d = numpy_distances(x[r : r + rows], c[at : at + step], dist)
+                    d = numpy_distances(x[r : r + rows], c[at : at + step], dist, made[at // step])
                     i = d.argmin(1)
                     v = d[np.arange(len(d)), i]
                     closer = v < best[r : r + rows]

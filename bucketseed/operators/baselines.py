@@ -319,11 +319,19 @@ def kmodes(df: DataFrame, k: int | None = None, init: DataFrame | None = None, m
     near = lambda: staged(assign(data, centers, "jaccard_tokens", "sql" if exact else "gemm", "tokens", "modes"), "kmodes")
     n, done, settled = data.count(), 0, False
     out, evaluations = near(), n * centers.count()
+    touched = None
     while done < max_iter and not settled:
-        before = out
-        centers = staged(modes(members_of(out), data).select("seed_id", "modes"), "modes")
+        before, members = out, members_of(out)
+        if touched is None:
+            centers = staged(modes(members, data).select("seed_id", "modes"), "modes")
+        else:
+            # Clusters that no row left or joined keep their modes.
+            moved = modes(members.join(touched, "seed_id", "left_semi"), data).select("seed_id", "modes")
+            centers = staged(centers.join(touched, "seed_id", "left_anti").unionByName(moved), "modes")
         out, done, evaluations = near(), done + 1, evaluations + n * centers.count()
-        settled = not out.join(before.select("id", F.col("cluster_id").alias("was")), "id").filter("cluster_id <> was").take(1)
+        changed = out.join(before.select("id", F.col("cluster_id").alias("was")), "id").filter("cluster_id <> was")
+        touched = staged(changed.select(F.explode(F.array("cluster_id", "was")).alias("seed_id")).distinct(), "touched")
+        settled = not touched.take(1)
     _, c = collected(centers, "modes")
     return Fitted(c, out, done, evaluations, [], settled)
 

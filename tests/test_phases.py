@@ -3,6 +3,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from bucketseed.functions import features as ft
+from bucketseed.functions.distances import Matches
 from bucketseed.functions.doph import doph, doph_column
 from bucketseed.functions.families import FAMILIES, suggest_params
 from bucketseed.operators import assign as asg
@@ -81,6 +82,34 @@ def test_match_equals_blocks(spark):
     assert key(a) == key(b)
 
 
+def test_matches_count_equal_coordinates():
+    draw = np.random.default_rng(3)
+    x, c = draw.integers(0, 6, (50, 300)), draw.integers(2, 9, (40, 300))
+    assert (Matches(c).count(x) == (x[:, None] == c[None]).sum(-1)).all()
+    assert Matches(c).count(x[:0]).shape == (0, 40)
+
+
+def test_kmodes_is_the_plain_loop(spark):
+    """Keeping the modes of clusters without a change gives what recomputing all of them gives."""
+    table = np.random.default_rng(5).integers(0, 3, (60, 5))
+    rows = spark.createDataFrame([(i, [int(v) for v in r]) for i, r in enumerate(table)], "id bigint, tokens array<bigint>")
+    init = spark.createDataFrame([(s, [int(v) for v in table[7 * s]]) for s in range(6)], "seed_id bigint, modes array<bigint>")
+    names, centers = np.arange(6), table[[7 * s for s in range(6)]]
+
+    def nearest():
+        m = (table[:, None] == centers[None]).sum(-1)
+        return names[m.argmax(1)]
+
+    now, before, turns = nearest(), None, 0
+    while turns < 50 and (before is None or (now != before).any()):
+        before, names = now, np.unique(now)
+        centers = np.array([[np.bincount(col).argmax() for col in table[before == s].T] for s in names])
+        now, turns = nearest(), turns + 1
+    got = baselines.kmodes(rows, init=init, max_iter=50)
+    assert {r["id"]: r["cluster_id"] for r in got.assigned.collect()} == dict(enumerate(now.tolist()))
+    assert got.iterations == turns > 2 and got.converged and (got.centers == centers).all()
+
+
 def test_centers(spark):
     data = spark.createDataFrame([(1, [0, 10]), (2, [1, 10]), (3, [1, 20])], "id bigint, vec array<bigint>")
     groups = spark.createDataFrame([(1, 1), (1, 2), (1, 3)], "seed_id bigint, id bigint")
