@@ -13,6 +13,7 @@ import numpy as np
 import pyarrow as pa
 
 SLICE = 1 << 20
+TEXTS = 1 << 16
 BASE = np.uint64(0x9E3779B97F4A7C15)
 BASE_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 
@@ -46,7 +47,7 @@ def mix(h: np.ndarray) -> np.ndarray:
 
 
 def pieces(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[tuple]:
-    """(batch slice, bytes, offsets) with at most about SLICE bytes of text; null text is empty."""
+    """(batch slice, bytes, offsets) with at most about SLICE bytes and TEXTS texts; null text is empty."""
     for batch in batches:
         col = batch.column(batch.schema.get_field_index(column))
         if col.null_count:
@@ -61,7 +62,7 @@ def pieces(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[
         at = 0
         while at < n:
             to = int(np.searchsorted(offs, offs[at] + SLICE, side="right")) - 1
-            to = min(max(to, at + 1), n)
+            to = min(max(to, at + 1), at + TEXTS, n)
             yield batch.slice(at, to - at), data[offs[at] : offs[to]], offs[at : to + 1] - offs[at]
             at = to
 

@@ -180,18 +180,16 @@ def test_pattern_scores_are_the_definition(spark):
     assert got == pytest.approx(sure) and sure
 
 
-def brute_tree(train: list[bytes], depth: int, contexts: int):
+def brute_tree(train: list[bytes], depth: int, least: int):
     """log10 probabilities by the recursive definition over explicit counts."""
     counts: dict[bytes, dict[int, int]] = {}
-    total = 0
     for t in train:
         line = b"\n" * depth + t + b"\xff"
         for i in range(depth, len(line)):
-            total += 1
             for d in range(depth + 1):
                 node = counts.setdefault(line[i - d : i], {})
                 node[line[i]] = node.get(line[i], 0) + 1
-    live = {c for c, n in counts.items() if sum(n.values()) * contexts >= total}
+    live = {c for c, n in counts.items() if sum(n.values()) >= least}
 
     def bits(n, prefix, level):
         zero = sum(v for x, v in n.items() if x >> (8 - level) == prefix and not (x >> (7 - level)) & 1)
@@ -243,15 +241,19 @@ def brute_tree(train: list[bytes], depth: int, contexts: int):
     return score
 
 
-def test_context_tree_is_the_definition(spark):
-    train = ["abracadabra", "abba cab", "", "cabbage"]
-    rows = [(i, t) for i, t in enumerate(train)] + [(10, "abca"), (11, None), (12, "zé")]
+@pytest.mark.parametrize("depth, least, hot", [(1, 1, 100), (2, 3, 0), (3, 2, 5), (4, 1, 0), (4, 2, 100)])
+def test_context_tree_is_the_definition(spark, depth, least, hot):
+    train = ["abracadabra", "abba cab", "", "cabbage", "é è é"]
+    rows = [(i, t) for i, t in enumerate(train)] + [(10, "abca"), (11, None), (12, "zé"), (13, "abracabbage")]
     table = spark.createDataFrame(rows, "doc_id bigint, text string")
-    got = context_tree.context_tree_scores(table, F.col("doc_id") >= 10, depth=2, contexts=8, hot_share=3, part_tokens=2).collect()
-    score = brute_tree([t.encode() for t in train], 2, 8)
+    got = context_tree.context_tree_scores(
+        table, F.col("doc_id") >= 10, depth=depth, least=least, hot_share=3, part_tokens=2, hot_codes=hot, shard_codes=7
+    ).collect()
+    score = brute_tree([t.encode() for t in train], depth, least)
+    assert len(got) == len(rows)
     for r in got:
         text = dict(rows)[r["doc_id"]] or ""
-        assert r["score"] == pytest.approx(score(text.encode()), abs=2e-4)
+        assert r["score"] == pytest.approx(score(text.encode()), abs=1e-6)
 
 
 def test_base_score(docs, texts):
