@@ -6,19 +6,24 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bucketseed.functions import features as ft
+from bucketseed.staging import spread
 from bucketseed.tables import load
 
 
+def _texts(spark: SparkSession, d: str) -> DataFrame:
+    return spread(load(spark, d, "documents").select("doc_id", "text"))
+
+
 def docs_sets(spark: SparkSession, d: str) -> DataFrame:
-    return load(spark, d, "documents").select(F.col("doc_id").alias("id"), ft.word_set("text").alias("tokens"))
+    return _texts(spark, d).select(F.col("doc_id").alias("id"), ft.word_set("text").alias("tokens"))
 
 
 def page_sets(spark, d):
-    return load(spark, d, "pages").select(F.col("page_id").alias("id"), ft.html_tokens("html").alias("tokens"))
+    return spread(load(spark, d, "pages").select("page_id", "html")).select(F.col("page_id").alias("id"), ft.html_tokens("html").alias("tokens"))
 
 
 def turn_sets(spark, d):
-    return load(spark, d, "conversations").select(
+    return spread(load(spark, d, "conversations").select("conv_id", "turn", "text")).select(
         (F.col("conv_id") * 1000 + F.col("turn")).alias("id"), ft.word_set("text").alias("tokens")
     )
 
@@ -28,12 +33,12 @@ def basket_sets(spark, d):
 
 
 def embedding_rows(spark, d):
-    return load(spark, d, "embeddings").select(F.col("vec_id").alias("id"), ft.fixed_point("embedding").alias("vec"))
+    return spread(load(spark, d, "embeddings").select("vec_id", "embedding")).select(F.col("vec_id").alias("id"), ft.fixed_point("embedding").alias("vec"))
 
 
 def letter_rows(spark, d):
     """Letter shares in fixed point by the same double arithmetic as the SQL twin."""
-    rows = load(spark, d, "documents").select(F.col("doc_id").alias("id"), ft.letter_histogram("text").alias("c"))
+    rows = _texts(spark, d).select(F.col("doc_id").alias("id"), ft.letter_histogram("text").alias("c"))
     total = F.aggregate("c", F.lit(0).cast("bigint"), lambda s, x: s + x)
     return rows.withColumn("n", total).select(
         "id",

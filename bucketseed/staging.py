@@ -42,6 +42,15 @@ def staged_by(df: DataFrame, column: str, name: str = "stage") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """``df`` over as many tasks as there are cores, where its scan gives fewer: few bytes may hold much work.
+
+    For plans of scans and projections alone; large tables have more partitions than that and stay as they are.
+    """
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 #: Stage files of up to this many rows are worked on in one task, where a shuffle would cost more.
 SMALL_ROWS = 200_000
 
