@@ -9,9 +9,13 @@ from pyspark.sql import functions as F
 from bucketseed.operators.assign import assign_blocks
 
 
-def read_stream(spark: SparkSession, path: str, schema, event_time: str | None = None, files: int = 100) -> DataFrame:
-    """A Parquet folder as a stream; a time without zone is cast, as watermarks need a timestamp."""
-    rows = spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(path)
+def read_stream(spark: SparkSession, path: str, schema, event_time: str | None = None, files: int | None = 100) -> DataFrame:
+    """A Parquet folder as a stream; a time without zone is cast, as watermarks need a timestamp.
+
+    ``files=None`` reads what is there as one batch, within which no row is late.
+    """
+    reader = spark.readStream.schema(schema)
+    rows = (reader.option("maxFilesPerTrigger", files) if files else reader).parquet(path)
     return rows.withColumn(event_time, F.col(event_time).cast("timestamp")) if event_time else rows
 
 
@@ -84,12 +88,17 @@ def reseeding(stream: DataFrame, seed_fn, path: str, checkpoint: str):
 
 
 def drained(stream: DataFrame, spark: SparkSession, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there and return its rows: for tests and small reports."""
+    """Run a stream over what is there and return its rows.
+
+    Appended rows go to files in the shared folder; results that later batches change (``complete``,
+    ``update``) are kept by the driver, so they must be small.
+    """
     from bucketseed.staging import shared_dir
 
-    q = (
-        stream.writeStream.outputMode(mode).format("memory").queryName(name)
-        .option("checkpointLocation", f"{shared_dir(spark)}/streams/{name}").trigger(availableNow=True).start()
-    )
-    q.awaitTermination()
+    out = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/streams/{name}").trigger(availableNow=True)
+    if mode == "append":
+        path = f"{shared_dir(spark)}/bucketseed/{name}"
+        out.format("parquet").option("path", path).option("compression", "zstd").start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(path)
+    out.format("memory").queryName(name).start().awaitTermination()
     return spark.table(name)
