@@ -5,10 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from bucketseed.functions.distances import distance, jaccard
-from bucketseed.functions.minhash import kl_signatures, minhash_values
+from bucketseed.functions.distances import distance
+from bucketseed.functions.minhash import minhash_values
 from bucketseed.functions.permutations import draw
 from bucketseed.functions.projection import dot
+from bucketseed.operators.postings import near_sets
 
 
 def top_c(pairs: DataFrame, top: int, order: str = "dist") -> DataFrame:
@@ -17,12 +18,12 @@ def top_c(pairs: DataFrame, top: int, order: str = "dist") -> DataFrame:
 
 
 def minhash_nns(base: DataFrame, queries: DataFrame, K: int, L: int, top: int, seed: int = 0, perms=None) -> DataFrame:
-    """(qid, id, dist, rank): the union of a query's L buckets, re-ranked by exact Jaccard."""
-    perms = perms or draw(K * L, seed)
-    keyed = lambda df, who: df.select(who, "tokens", F.explode(kl_signatures(minhash_values("tokens", perms), K, L)).alias("s"))
-    q = keyed(queries, "qid").withColumnRenamed("tokens", "qtokens")
-    pairs = q.join(keyed(base, "id"), "s").dropDuplicates(["qid", "id"])
-    return top_c(pairs.select("qid", "id", jaccard("qtokens", "tokens").alias("dist")), top)
+    """(qid, id, dist, rank): the union of a query's L buckets, re-ranked by exact Jaccard.
+
+    Queries are broadcast with their hash values, in chunks; each task keeps its nearest rows of a query.
+    """
+    hashed = lambda df, who: df.select(who, "tokens", minhash_values("tokens", perms or draw(K * L, seed)).alias("h"))
+    return top_c(near_sets(hashed(base, "id"), hashed(queries, "qid"), top, tables=L), top)
 
 
 def collision_counts(base: DataFrame, queries: DataFrame, directions: list, width, vec: str = "vec") -> DataFrame:

@@ -3,6 +3,9 @@
 from pyspark.sql import functions as F
 
 from bucketseed.experiments import surface
+from bucketseed.functions.permutations import PRIME, draw
+from bucketseed.operators import metrics, nns, postings
+from bucketseed.staging import staged
 from tests.conftest import SF
 
 
@@ -10,3 +13,34 @@ def test_appended_rows_of_a_stream_are_read_from_files(spark):
     found = surface.session(spark, SF)
     assert found.inputFiles()
     assert found.agg(F.sum("n")).first()[0] == spark.read.parquet(f"{SF}/events.parquet").count()
+
+
+def _sets(spark, n=90, wide=7):
+    token = lambda i: ((F.col("id") * (i + 3) + i * i) % F.lit(11 + i)).cast("bigint") * 16 + i
+    rows = spark.range(n).select("id", F.array_distinct(F.array(*[token(i) for i in range(wide)])).alias("tokens"))
+    bare = F.when(F.col("id") % 29 == 5, F.array().cast("array<bigint>")).otherwise(F.col("tokens"))
+    return rows.withColumn("tokens", F.sort_array(bare))
+
+
+def _jaccards(a, b):
+    """{(i, j): jaccard} of all pairs, by Python's sets."""
+    a, b = ({r[0]: set(r["tokens"]) for r in df.collect()} for df in (a, b))
+    return {(i, j): 1.0 if not x | y else 1 - (1 - len(x & y) / len(x | y)) for i, x in a.items() for j, y in b.items()}
+
+
+def test_lookups_exchange_only_each_tasks_nearest(spark, monkeypatch):
+    rows = staged(_sets(spark).repartition(3), "rows")
+    queries = rows.filter("id % 4 = 1").select(F.col("id").alias("qid"), "tokens")
+    perms = draw(6, 4)
+    hashes = {r["id"]: tuple(min(((t * a + b) % PRIME for t in r["tokens"]), default=-1) for a, b in perms.params) for r in rows.collect()}
+    expected = {}
+    for (q, i), s in _jaccards(queries, rows).items():
+        if any(hashes[q][at : at + 2] == hashes[i][at : at + 2] for at in (0, 2, 4)):
+            expected.setdefault(q, []).append((1 - s, i))
+    expected = sorted((q, i, round(d, 12), n) for q, near in expected.items() for n, (d, i) in enumerate(sorted(near)[:3], 1))
+    for size in (postings.CHUNK_TOKENS, 40):
+        monkeypatch.setattr(postings, "CHUNK_TOKENS", size)
+        found = nns.minhash_nns(rows, queries, 2, 3, 3, perms=perms)
+        assert sorted((r["qid"], r["id"], round(r["dist"], 12), r["rank"]) for r in found.collect()) == expected
+    # the base's sets are not exchanged: what moves is (qid, id, dist), three rows of a query and task at most
+    assert metrics.exchanged(nns.minhash_nns(rows, queries, 2, 3, 3, perms=perms))["rows"] <= 3 * queries.count() * rows.rdd.getNumPartitions()
