@@ -75,7 +75,7 @@ def exact_pairs(df: DataFrame, least: float, tokens: str = "tokens") -> DataFram
     )
 
 
-def similarity_join(left: DataFrame, right: DataFrame, K: int, L: int, least: float, seed: int = 0) -> DataFrame:
-    """(qid, id, jaccard) of pairs that share a signature, verified on whole sets."""
-    near = minhash_nns(right, left, K, L, 1 << 30, seed)
-    return near.select("qid", "id", (1 - F.col("dist")).alias("jaccard")).filter(F.col("jaccard") >= least)
+def similarity_join(left: DataFrame, right: DataFrame, least: float) -> DataFrame:
+    """(qid, id, jaccard) of all pairs that reach ``least``, on whole sets; ``left`` is broadcast in chunks."""
+    near = near_sets(right.select("id", "tokens"), left, least=least)
+    return near.select("qid", "id", (1 - F.col("dist")).alias("jaccard"))

@@ -44,3 +44,14 @@ def test_lookups_exchange_only_each_tasks_nearest(spark, monkeypatch):
         assert sorted((r["qid"], r["id"], round(r["dist"], 12), r["rank"]) for r in found.collect()) == expected
     # the base's sets are not exchanged: what moves is (qid, id, dist), three rows of a query and task at most
     assert metrics.exchanged(nns.minhash_nns(rows, queries, 2, 3, 3, perms=perms))["rows"] <= 3 * queries.count() * rows.rdd.getNumPartitions()
+
+
+def test_similarity_join_loses_no_link_and_exchanges_nothing(spark, monkeypatch):
+    rows = staged(_sets(spark), "rows")
+    left = rows.filter("id % 4 = 1").select(F.col("id").alias("qid"), "tokens")
+    expected = {pair for pair, s in _jaccards(left, rows).items() if s >= 0.2}
+    for size, hits in ((postings.CHUNK_TOKENS, postings.HITS), (40, 30)):
+        monkeypatch.setattr(postings, "CHUNK_TOKENS", size)
+        monkeypatch.setattr(postings, "HITS", hits)
+        assert {(r["qid"], r["id"]) for r in nns.similarity_join(left, rows, 0.2).collect()} == expected
+    assert metrics.exchanged(nns.similarity_join(left, rows, 0.2))["exchanges"] == 0
