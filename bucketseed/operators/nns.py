@@ -9,7 +9,7 @@ from bucketseed.functions.distances import distance
 from bucketseed.functions.minhash import minhash_values
 from bucketseed.functions.permutations import draw
 from bucketseed.functions.projection import dot
-from bucketseed.operators.postings import near_sets
+from bucketseed.operators.postings import near_sets, similar_pairs
 
 
 def top_c(pairs: DataFrame, top: int, order: str = "dist") -> DataFrame:
@@ -60,19 +60,8 @@ def qalsh_nns(base: DataFrame, queries: DataFrame, directions: list, width, thre
 
 
 def exact_pairs(df: DataFrame, least: float, tokens: str = "tokens") -> DataFrame:
-    """(a, b, jaccard) of all pairs that share a token and reach ``least``, over an inverted index."""
-    sizes = df.select("id", F.size(tokens).alias("n"))
-    cells = df.select("id", F.explode(tokens).alias("t"))
-    both = (
-        cells.select(F.col("id").alias("a"), "t").join(cells.select(F.col("id").alias("b"), "t"), "t")
-        .filter("a < b").groupBy("a", "b").agg(F.count("*").alias("c"))
-    )
-    return (
-        both.join(sizes.select(F.col("id").alias("a"), F.col("n").alias("na")), "a")
-        .join(sizes.select(F.col("id").alias("b"), F.col("n").alias("nb")), "b")
-        .select("a", "b", (F.col("c") / (F.col("na") + F.col("nb") - F.col("c"))).alias("jaccard"))
-        .filter(F.col("jaccard") >= least)
-    )
+    """(a, b, jaccard) of all pairs that share a token and reach ``least``, over broadcast chunks of an inverted index."""
+    return similar_pairs(df.select("id", F.col(tokens).alias("tokens")), least)
 
 
 def similarity_join(left: DataFrame, right: DataFrame, least: float) -> DataFrame:

@@ -1,8 +1,11 @@
 """Plans that hold at size: what is kept off the driver and off the disk, with the results it had before."""
 
+import pytest
 from pyspark.sql import functions as F
 
 from bucketseed.experiments import surface
+from bucketseed.functions.doph import doph
+from bucketseed.functions.minhash import minhash_values
 from bucketseed.functions.permutations import PRIME, draw
 from bucketseed.operators import metrics, nns, postings
 from bucketseed.staging import staged
@@ -55,3 +58,15 @@ def test_similarity_join_loses_no_link_and_exchanges_nothing(spark, monkeypatch)
         monkeypatch.setattr(postings, "HITS", hits)
         assert {(r["qid"], r["id"]) for r in nns.similarity_join(left, rows, 0.2).collect()} == expected
     assert metrics.exchanged(nns.similarity_join(left, rows, 0.2))["exchanges"] == 0
+
+
+@pytest.mark.parametrize("size", [postings.CHUNK_TOKENS, 40])
+def test_exact_pairs_are_all_pairs_without_an_exchange(spark, monkeypatch, size):
+    monkeypatch.setattr(postings, "CHUNK_TOKENS", size)
+    rows = staged(_sets(spark).repartition(3), "rows")
+    bare = {r["id"] for r in rows.collect() if not r["tokens"]}
+    expected = {p: s for p, s in _jaccards(rows, rows).items() if p[0] < p[1] and s > 0 and not {*p} <= bare}
+    for least in (0.0, 0.3, 0.5, 0.75, 1.0):
+        found = {(r["a"], r["b"]): r["jaccard"] for r in nns.exact_pairs(rows, least).collect()}
+        assert found == pytest.approx({p: s for p, s in expected.items() if s >= least - 1e-12})
+    assert metrics.exchanged(nns.exact_pairs(rows, 0.5))["exchanges"] == 0
