@@ -70,3 +70,19 @@ def test_exact_pairs_are_all_pairs_without_an_exchange(spark, monkeypatch, size)
         found = {(r["a"], r["b"]): r["jaccard"] for r in nns.exact_pairs(rows, least).collect()}
         assert found == pytest.approx({p: s for p, s in expected.items() if s >= least - 1e-12})
     assert metrics.exchanged(nns.exact_pairs(rows, 0.5))["exchanges"] == 0
+
+
+@pytest.mark.parametrize("hits", [postings.HITS, 50])
+def test_bands_count_all_pairs_and_write_none(spark, monkeypatch, hits):
+    monkeypatch.setattr(postings, "HITS", hits)
+    perms = draw(3, 8)
+    rows = staged(_sets(spark).repartition(3).select("id", "tokens", minhash_values("tokens", perms).alias("h")), "rows")
+    h = {r["id"]: r["h"] for r in rows.collect()}
+    expected = {}
+    for pair in nns.exact_pairs(rows, 0.0).collect():
+        at = expected.setdefault(min(int((1 - pair["jaccard"]) * 10), 9), [0, 0])
+        at[0] += 1
+        at[1] += sum(x == y for x, y in zip(h[pair["a"]], h[pair["b"]], strict=True))
+    found = postings.band_counts(rows, 3)
+    assert {r["band"]: [r["pairs"], r["same"]] for r in found.collect()} == expected
+    assert metrics.exchanged(found)["rows"] <= 10 * rows.rdd.getNumPartitions()
