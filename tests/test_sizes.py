@@ -86,3 +86,13 @@ def test_bands_count_all_pairs_and_write_none(spark, monkeypatch, hits):
     found = postings.band_counts(rows, 3)
     assert {r["band"]: [r["pairs"], r["same"]] for r in found.collect()} == expected
     assert metrics.exchanged(found)["rows"] <= 10 * rows.rdd.getNumPartitions()
+
+
+def test_estimates_come_with_their_pairs(spark):
+    rows = staged(_sets(spark), "rows")
+    coords = {r["id"]: r["coords"] for r in doph(rows, dims=16, seed=3).collect()}
+    found = postings.similar_pairs(doph(rows, dims=16, seed=3, keep=("tokens",)), 0.5)
+    assert {(r["a"], r["b"]) for r in found.collect()} == {(r["a"], r["b"]) for r in nns.exact_pairs(rows, 0.5).collect()}
+    for r in found.collect():
+        assert r["estimate"] == sum(x == y for x, y in zip(coords[r["a"]], coords[r["b"]], strict=True)) / 16
+    assert metrics.exchanged(found)["exchanges"] == 0
