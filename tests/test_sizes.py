@@ -7,7 +7,7 @@ from bucketseed.experiments import surface
 from bucketseed.functions.doph import doph
 from bucketseed.functions.minhash import minhash_values
 from bucketseed.functions.permutations import PRIME, draw
-from bucketseed.operators import metrics, nns, postings
+from bucketseed.operators import assign, metrics, nns, postings
 from bucketseed.staging import staged
 from tests.conftest import SF
 
@@ -96,3 +96,19 @@ def test_estimates_come_with_their_pairs(spark):
     for r in found.collect():
         assert r["estimate"] == sum(x == y for x, y in zip(coords[r["a"]], coords[r["b"]], strict=True)) / 16
     assert metrics.exchanged(found)["exchanges"] == 0
+
+
+@pytest.mark.parametrize("size", [assign.CENTER_BYTES, 100])
+def test_matches_are_counted_without_an_exchange(spark, monkeypatch, size):
+    monkeypatch.setattr(assign, "CENTER_BYTES", size)
+    cells = lambda i: F.array(*[((F.col("id") * (j + i) + j) % (3 + j)).cast("bigint") for j in range(5)])
+    rows = staged(spark.range(60).select("id", cells(2).alias("tokens")), "rows")
+    centers = staged(spark.range(9).select((F.col("id") * 2 + 1).alias("seed_id"), (cells(7) if size > 100 else cells(3)).alias("modes")), "centers")
+    c = [(r["seed_id"], r["modes"]) for r in centers.collect()]
+    found = assign.assign(rows, centers, strategy="match", vec="tokens", center="modes")
+    got = {r["id"]: (r["cluster_id"], r["dist"]) for r in found.collect()}
+    for r in rows.collect():
+        m, seed = max((sum(x == y for x, y in zip(r["tokens"], v, strict=True)), -s) for s, v in c)
+        assert got[r["id"]] == (-seed, 1 - m / (10 - m))
+    if size > 100:
+        assert metrics.exchanged(found)["exchanges"] == 0
