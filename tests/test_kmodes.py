@@ -57,3 +57,14 @@ def test_seeded_rows_are_looked_up(spark, monkeypatch):
     init = staged(rows.filter("id % 5 = 3").select(F.col("id").alias("seed_id"), F.col("tokens").alias("modes")), "init")
     found = {s: sorted(map(tuple, assign.assign(rows, init, "jaccard_tokens", s, "tokens", "modes").collect())) for s in ("gemm", "match")}
     assert looked_up and found["gemm"] == found["match"]
+
+
+def test_centers_beyond_an_index_come_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(assign, "INDEX_BYTES", 800)
+    blocks, looked_up = [], assign.reassign
+    monkeypatch.setattr(assign, "reassign", lambda rows, ids, *a: blocks.append(len(ids)) or looked_up(rows, ids, *a))
+    cells = F.array(*[(F.xxhash64("id", F.lit(j)) % 9).cast("bigint") for j in range(8)])
+    rows = staged(spark.range(120).select("id", cells.alias("tokens")), "rows")
+    init = staged(rows.filter("id % 5 = 3").select(F.col("id").alias("seed_id"), F.col("tokens").alias("modes")), "init")
+    found = {s: sorted(map(tuple, assign.assign(rows, init, "jaccard_tokens", s, "tokens", "modes").collect())) for s in ("gemm", "match")}
+    assert blocks == [12, 12] and found["gemm"] == found["match"]
